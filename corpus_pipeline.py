@@ -1,13 +1,78 @@
-"""A corpus pipeline of five stages over ``documents``; each stage works on all that the one before it kept."""
+"""A corpus pipeline of five stages over ``documents``.
+
+Each stage takes (spark, docs, sf_dir) and works on all that the stage before it kept; ``run`` writes a stage's rows as
+Parquet in the shared folder and reads them again for the next. All but the last return the columns of ``documents``.
+SQL cannot express the learned stages, so ``ORACLE_SQL`` is None and the tests hold ``run`` against brute force.
+
+Odd input: see the operators. A row without doc_id passes the stages like any other; repeated rows are near duplicates of
+each other, so one of them stays; an empty table stays empty; extra columns are kept by every stage but the last.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from tuplegraph.llm import bpe, decontam, near_dup, pii, toxicity
+from tuplegraph.llm.common import shared_dir, table
+from tuplegraph.llm.queries import tokenizer_path
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose toxicity score is below one half. The lexicon is learned outside the held-out fold."""
+    lexicon, weights = toxicity.held_out_model(docs, table(spark, sf_dir, "labels"))
+    columns = docs.columns
+    return toxicity.score(docs, lexicon, weights).where("predicted = 0").select(*columns)
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates, the one with the least doc_id; documents without words all stay."""
+    kept = near_dup.link(docs).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("th").alias("kept_th"), "class_id")
+    grouped = kept.where("class_id is not null").groupBy("class_id").agg(F.min(F.struct("kept_id", "kept_th")).alias("k")).select("k.kept_id", "k.kept_th")
+    bare = kept.where("class_id is null").select("kept_id", "kept_th").distinct()
+    chosen = grouped.union(bare)
+    joined = docs.join(chosen, (F.xxhash64(docs["text"]) == chosen.kept_th) & docs["doc_id"].cast("long").eqNullSafe(chosen.kept_id), "left_semi")
+    words = F.length(F.trim(F.coalesce("text", F.lit("")))) > 0
+    # rows that are equal in id and text would both be chosen
+    return joined.where(words).dropDuplicates(["doc_id", "text"]).unionByName(joined.where(~words))
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that overlap with no benchmark item."""
+    return decontam.clean(docs, table(spark, sf_dir, "benchmark"))
+
+
+def redact_personal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with personal data replaced by the name of its kind; ``n_chars`` follows the new text."""
+    columns = docs.columns
+    done = pii.redact(pii.find(docs))
+    return (done.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in columns else done).select(*columns)
+
+
+def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, lang, source, text, n_tokens, and digests of the token ids and of the text that they decode to."""
+    done = bpe.encode(docs, tokenizer_path())
+    ids = F.concat_ws(",", F.col("ids").cast("array<string>"))
+    return done.select("doc_id", "lang", "source", "text", "n_tokens", F.sha2(ids, 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"))
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("near_duplicates", drop_near_duplicates),
+    ("decontamination", drop_contaminated),
+    ("personal_data", redact_personal),
+    ("bpe", encode_tokens),
+]
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    base = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
+    for number, (name, stage) in enumerate(STAGES):
+        at = f"{base}/{number}-{name}"
+        stage(spark, docs, sf_dir).write.parquet(at)
+        docs = spark.read.parquet(at)
     return docs

@@ -6,8 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, near_dup
-from .common import table
+from . import bpe, decontam, near_dup, pii, toxicity
+from .common import fold, table
 
 
 def tokenizer_path() -> str:
@@ -17,6 +17,21 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = toxicity.held_out_model(docs, table(spark, sf_dir, "labels"))
+    return toxicity.score(docs, *model).select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", "predicted", "n_hits")
+
+
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Contaminated pairs of a document and a benchmark item."""
+    return decontam.overlaps(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("th")
+
+
+def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(pii.find(table(spark, sf_dir, "documents").select("doc_id", "text"), keep_text=False))
+
+
 def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return bpe.digests(bpe.encode(docs, tokenizer_path()))
@@ -27,7 +42,13 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op9_bpe": op9_bpe, "op10_near_duplicates": op10_near_duplicates}
+    return {
+        "op1_toxicity": op1_toxicity,
+        "op4_decontamination": op4_decontamination,
+        "op8_personal_data": op8_personal_data,
+        "op9_bpe": op9_bpe,
+        "op10_near_duplicates": op10_near_duplicates,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
