@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontam, near_dup, pii, toxicity
+from . import bpe, decontam, near_dup, order_minhash, pii, sharding, toxicity
 from .common import fold, table
 
 
@@ -28,6 +28,14 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.overlaps(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("th")
 
 
+def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.assign(table(spark, sf_dir, "documents"))
+
+
+def op7_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return order_minhash.compare(table(spark, sf_dir, "documents"))
+
+
 def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(pii.find(table(spark, sf_dir, "documents").select("doc_id", "text"), keep_text=False))
 
@@ -45,6 +53,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_toxicity": op1_toxicity,
         "op4_decontamination": op4_decontamination,
+        "op5_sharding": op5_sharding,
+        "op7_fingerprints": op7_fingerprints,
         "op8_personal_data": op8_personal_data,
         "op9_bpe": op9_bpe,
         "op10_near_duplicates": op10_near_duplicates,
