@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontam, near_dup, order_minhash, pii, sharding, toxicity
+from . import bpe, decontam, near_dup, order_minhash, pii, quality, sharding, toxicity
 from .common import fold, table
 
 
@@ -32,6 +32,12 @@ def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(table(spark, sf_dir, "documents"))
 
 
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    net = quality.held_out_model(docs, table(spark, sf_dir, "labels"))
+    return quality.score(docs, net).select("doc_id", (fold("doc_id", 4) == 2).alias("held_out"), "score", "predicted")
+
+
 def op7_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.compare(table(spark, sf_dir, "documents"))
 
@@ -54,6 +60,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_toxicity": op1_toxicity,
         "op4_decontamination": op4_decontamination,
         "op5_sharding": op5_sharding,
+        "op6_quality": op6_quality,
         "op7_fingerprints": op7_fingerprints,
         "op8_personal_data": op8_personal_data,
         "op9_bpe": op9_bpe,
