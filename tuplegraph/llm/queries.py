@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontam, near_dup, order_minhash, pii, quality, sharding, toxicity
+from . import bpe, decontam, near_dup, order_minhash, pii, quality, repeats, sharding, toxicity
 from .common import fold, table
 
 
@@ -23,6 +23,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, *model).select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", "predicted", "n_hits")
 
 
+def op3_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.digest(repeats.remove(table(spark, sf_dir, "documents")))
+
+
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Contaminated pairs of a document and a benchmark item."""
     return decontam.overlaps(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("th")
@@ -58,6 +62,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_toxicity": op1_toxicity,
+        "op3_repeats": op3_repeats,
         "op4_decontamination": op4_decontamination,
         "op5_sharding": op5_sharding,
         "op6_quality": op6_quality,
