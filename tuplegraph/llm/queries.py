@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontam, near_dup, order_minhash, pii, quality, repeats, sharding, toxicity
+from . import bpe, decontam, near_dup, ngram, order_minhash, pii, quality, repeats, sharding, toxicity
 from .common import fold, table
 
 
@@ -23,6 +23,12 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, *model).select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", "predicted", "n_hits")
 
 
+def op2_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = ngram.score(docs, ngram.held_out_model(docs))
+    return scored.select("doc_id", (fold("doc_id", 7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op3_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeats.digest(repeats.remove(table(spark, sf_dir, "documents")))
 
@@ -62,6 +68,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_toxicity": op1_toxicity,
+        "op2_language_model": op2_language_model,
         "op3_repeats": op3_repeats,
         "op4_decontamination": op4_decontamination,
         "op5_sharding": op5_sharding,
