@@ -227,9 +227,12 @@ def spans(docs: DataFrame, width: int = WIDTH, hot: int = HOT, task_bytes: int =
     spark = prepare(docs.sparkSession)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
     rows = _rows(texts, width)
-    counted = rows.groupBy("a", "d").agg(F.sum(F.size("s")).alias("c"))
-    shared = counted.groupBy("a").agg(F.count(F.lit(1)).alias("nd"), F.sum("c").alias("all")).where("`all` > 1").drop("all")
-    picked = cut(rows.join(counted.join(shared, "a").where("nd > 1 or c > 1"), ["a", "d"]))
+    # segments of an anchor that occurs more than once; only these are counted apart
+    shared = rows.groupBy("a").agg(F.sum(F.size("s")).alias("all")).where("`all` > 1").select("a")
+    near = cut(rows.join(shared, "a"))
+    counted = near.groupBy("a", "d").agg(F.sum(F.size("s")).alias("c"))
+    kinds = counted.groupBy("a").agg(F.count(F.lit(1)).alias("nd"))
+    picked = cut(near.join(counted.join(kinds, "a"), ["a", "d"]))
     whole = picked.where("c > 1").select("doc_id", "th", F.explode("s").alias("x"), "size").select("doc_id", "th", "x", (F.col("x") + F.col("size")).alias("y"))
 
     wanted = picked.where("nd > 1").dropDuplicates(["a", "d"]).select("doc_id", "th", F.struct("a", "d", "nd", "c", "lead", F.element_at("s", 1).alias("s"), "size").alias("w"))
