@@ -45,7 +45,7 @@ from .common import fold, partitions, prepare, shared_dir
 
 KEEP = 2
 STEP = 0.04  # of a quantised log10 value
-BATCH_CHARS = 3_000_000
+BATCH_CHARS = 5_000_000
 END = np.uint64(0x8E5D3A1B00C0FFEE)  # stands for the end in place of a word's hash
 
 
@@ -142,6 +142,15 @@ class EliasFano:
             place = place + np.where(go, width, 0)
         return word * 64 + place
 
+    def _zero_after(self, at: np.ndarray, k: np.ndarray) -> np.ndarray:
+        """Place of the first zero at or after a place; it is zero number k, which is searched for where its word is another."""
+        word, off = at >> 6, (at & 63).astype(np.uint64)
+        rest = ~self.up[np.minimum(word, len(self.up) - 1)] >> off
+        near = at + np.bitwise_count((rest & (~rest + np.uint64(1))) - np.uint64(1)).astype(np.int64)
+        far = np.flatnonzero((rest == 0) | (word >= len(self.up)))
+        near[far] = self._zero(k[far])
+        return near
+
     def locate(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(number of elements below q, whether q is an element), best for sorted q."""
         if not self.n:
@@ -151,8 +160,9 @@ class EliasFano:
         total = int(self.zeros[-1])
         outside = high >= total
         high = np.minimum(high, total - 1)
-        start = np.where(high > 0, self._zero(np.maximum(high - 1, 0)) + 1 - high, 0)
-        end = np.minimum(self._zero(high) - high, self.n)
+        before = np.where(high > 0, self._zero(np.maximum(high - 1, 0)), -1)
+        start = before + 1 - high
+        end = np.minimum(self._zero_after(before + 1, high) - high, self.n)
         start = np.minimum(start, end)
         low, top = start.copy(), end.copy()
         active = np.flatnonzero(low < top)
@@ -273,17 +283,22 @@ class Model:
         """For pairs: (shard, place in the shard's sequence, found)."""
         part, key = u % self.shards, self.pair_keys(u, v)
         place, found = np.zeros(len(u), np.int64), np.zeros(len(u), bool)
-        order = np.lexsort((key, part))
+        # pairs that come sorted by (u, v) stay so within a shard; others are sorted there
+        order = np.argsort(part.astype(np.uint16) if self.shards < 1 << 16 else part, kind="stable")
         edges = np.searchsorted(part[order], np.arange(self.shards + 1))
-        for s in np.unique(part).tolist():
+        for s in np.flatnonzero(np.diff(edges)).tolist():
             own = order[edges[s] : edges[s + 1]]
+            if len(own) > 1 and (key[own[1:]] < key[own[:-1]]).any():
+                own = own[np.argsort(key[own])]
             place[own], found[own] = self._trie(f"p{s}").locate(key[own])
         return part, place, found
 
     def gather(self, name: str, kind, part: np.ndarray, place: np.ndarray) -> np.ndarray:
         out = np.zeros(len(part), kind)
-        for s in np.unique(part).tolist():
-            own = np.flatnonzero(part == s)
+        order = np.argsort(part.astype(np.uint16) if self.shards < 1 << 16 else part, kind="stable")
+        edges = np.searchsorted(part[order], np.arange(self.shards + 1))
+        for s in np.flatnonzero(np.diff(edges)).tolist():
+            own = order[edges[s] : edges[s + 1]]
             out[own] = self._file(f"{name}{s}", kind)[place[own]]
         return out
 
