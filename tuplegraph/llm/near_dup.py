@@ -37,10 +37,14 @@ M, BASE, RATE, TOP = BANDS * ROWS, 1.001, 20.0, 2**16 - 1
 #: How far above the expected last register the processes are followed; later times count as truncated (register 0).
 SLACK = 14.0
 #: Shingles of a candidate group, or of a block of it, that one task holds.
-BLOCK_SHINGLES = 2_000_000
+BLOCK_SHINGLES = 800_000
 BLOCK_SETS = 3_000
 #: A pair is excluded without its sets when the likelihood of SIMILAR falls this far (in nats) below the best one.
 EXCLUDED = 24.0
+#: With fewer equal registers than this share, a similarity of SIMILAR is always that far below; such pairs need no likelihood.
+FEW_EQUAL = 0.41
+#: Sets that are sketched at once.
+SKETCHED = 96
 
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
 _ONE = np.uint64(1)
@@ -137,8 +141,8 @@ def sketch(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start in range(0, batch.num_rows, 256):
-                part = batch.slice(start, 256)
+            for start in range(0, batch.num_rows, SKETCHED):
+                part = batch.slice(start, SKETCHED)
                 sets = [shingles(t) for t in part.column(2).to_pylist()]
                 regs = registers(sets)
                 keys = bands(regs)
@@ -157,53 +161,43 @@ def sketch(docs: DataFrame) -> DataFrame:
     return slim.mapInArrow(run, "doc_id long, th long, n_shingles long, digest binary, regs binary, keys array<long>")
 
 
-class Forest:
-    def __init__(self, n: int):
-        self.up = list(range(n))
-
-    def root(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = i = self.up[self.up[i]]
-        return i
-
-    def join(self, i: int, j: int) -> bool:
-        a, b = self.root(i), self.root(j)
-        self.up[max(a, b)] = min(a, b)
-        return a != b
-
-
 def forest_of(sets: list[np.ndarray], regs: np.ndarray, block: np.ndarray, similar: int = SIMILAR) -> list[tuple[int, int]]:
     """Links that span the similarity graph of these sets; only pairs of different blocks count where there are two."""
     n = len(sets)
-    tree, links = Forest(n), []
+    tree, links = np.arange(n), []  # the tree that each set is in so far
     sizes = np.array([len(s) for s in sets])
     crossing = len(set(block.tolist())) > 1
     flat = np.concatenate(sets)
     starts = np.concatenate(([0], np.cumsum(sizes)[:-1]))
     ids = None
     for i in range(n - 1):
-        rest = np.arange(i + 1, n)
-        mine = tree.root(i)
-        keep = np.fromiter((tree.root(j) != mine for j in rest.tolist()), bool, len(rest))
+        keep = tree[i + 1 :] != tree[i]
         if crossing:
-            keep &= block[rest] != block[i]
-        keep &= 100 * np.minimum(sizes[rest], sizes[i]) >= similar * np.maximum(sizes[rest], sizes[i])
-        rest = rest[keep]
+            keep &= block[i + 1 :] != block[i]
+        keep &= 100 * np.minimum(sizes[i + 1 :], sizes[i]) >= similar * np.maximum(sizes[i + 1 :], sizes[i])
+        rest = np.flatnonzero(keep) + i + 1
+        if not len(rest):
+            continue
+        same = (regs[i] == regs[rest]).sum(axis=1)
+        rest, same = rest[same >= FEW_EQUAL * M], same[same >= FEW_EQUAL * M]
         if not len(rest):
             continue
-        theirs = regs[rest]
-        above, same = (regs[i] > theirs).sum(axis=1), (regs[i] == theirs).sum(axis=1)
+        above = (regs[i] > regs[rest]).sum(axis=1)
         rest = rest[not_excluded(above, M - above - same, same, sizes[i], sizes[rest], similar / 100)]
         if len(rest) > 16:
             if ids is None:  # set elements as small numbers, once
                 _, ids = np.unique(flat, return_inverse=True)
-            mark = np.zeros(ids.max() + 2, np.int64)
-            mark[ids[starts[i] : starts[i] + sizes[i]]] = 1
-            both = np.add.reduceat(mark[ids], starts)[rest]
+                ids = ids.astype(np.int32)
+                mark = np.zeros(int(ids.max()) + 1, np.int8)
+            own = ids[starts[i] : starts[i] + sizes[i]]
+            mark[own] = 1
+            both = np.add.reduceat(mark[ids], starts, dtype=np.int64)[rest]
+            mark[own] = 0
         else:
             both = np.array([len(np.intersect1d(sets[i], sets[j], assume_unique=True)) for j in rest.tolist()], np.int64)
         for j in rest[100 * both >= similar * (sizes[i] + sizes[rest] - both)].tolist():
-            if tree.join(i, j):
+            if tree[i] != tree[j]:
+                tree[tree == tree[j]] = tree[i]
                 links.append((i, j))
     return links
 
@@ -256,7 +250,7 @@ def link(docs: DataFrame, block_shingles: int = BLOCK_SHINGLES, block_sets: int
     with_text = dealt.join(texts, (F.col("rth") == F.col("th")) & F.col("rid").eqNullSafe(F.col("doc_id"))).drop("rid", "rth", "th", "doc_id")
     spread = with_text.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
     tasks = spread.select("grp", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "digest", "regs", "block", "text")
-    tasks = tasks.repartition(partitions(spark), "grp", "x", "y").sortWithinPartitions("grp", "x", "y")
+    tasks = tasks.repartition(partitions(spark), "grp", "x", "y").sortWithinPartitions("grp", "x", "y", "digest")
     links = tasks.mapInArrow(_confirm, "a binary, b binary")
     joined = components(links).withColumnRenamed("node", "digest").withColumnRenamed("label", "root")
 
