@@ -74,7 +74,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Only one count a round reaches the driver. Hubs are fine: the minimum is combined before the shuffle, and the
     joins are on a side of unique nodes, which adaptive execution splits when a key is hot.
     """
-    links = cut(edges.select("a", "b").union(edges.select("b", "a")).where("a <> b").distinct())
+    # one row gives both directions, so that edges of a plan that may vary from run to run are taken from one run
+    both = F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"))))
+    links = cut(edges.where("a <> b").select(both.alias("e")).select("e.a", "e.b").distinct())
     labels = cut(links.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("label")))
     for _ in range(max_rounds):
         near = links.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("near"))
