@@ -44,7 +44,9 @@ DIGITS = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b",
 SYMBOLS = {"@": "a", "$": "s", "!": "i", "|": "i"}
 HIDDEN = "­​‌‍⁠﻿"
 
-SAMPLE, LEXICON, LEAST, SHARE = 20_000, 512, 5, 0.02
+SAMPLE, LEXICON, LEAST, SHARE = 10_000, 512, 5, 0.02
+#: Entries that a task counts before it hands them on.
+COUNTED = 150_000
 #: Lengths of stems.
 STEMS = range(3, 11)
 #: Prior of the logistic map: (bias, weight of log evidence, weight of log evidence per hundred words).
@@ -104,6 +106,12 @@ def evidence(text: str | None, lexicon: tuple, exceptions: tuple) -> tuple[float
     return sum(kept), len(kept), text.count(" ") + text.count("\n") + 1
 
 
+def _slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for start in range(0, batch.num_rows, rows):
+            yield batch.slice(start, rows)
+
+
 def _features(weight, words):
     weight = np.maximum(np.asarray(weight, float), 0)
     return np.stack([np.ones_like(weight), np.log1p(weight), np.log1p(100 * weight / np.maximum(np.asarray(words, float), 1))], axis=-1)
@@ -144,12 +152,22 @@ def _marking_words(rows: DataFrame, seeds: dict[str, float], size: int, least: i
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by = {0: Counter(), 1: Counter()}
         total = [0, 0]
-        for batch in batches:
+
+        def flush():
+            words = list(by[0].keys() | by[1].keys())
+            columns = [pa.array([*words, ""]), pa.array([*(by[1][w] for w in words), total[1]], pa.int64()), pa.array([*(by[0][w] for w in words), total[0]], pa.int64())]
+            by[0].clear()
+            by[1].clear()
+            total[:] = [0, 0]
+            return pa.RecordBatch.from_arrays(columns, ["word", "t", "c"])
+
+        for batch in _slices(batches):
             for toxic, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 by[toxic].update(_entries(text))
                 total[toxic] += 1
-        words = sorted(by[0].keys() | by[1].keys())
-        yield pa.RecordBatch.from_arrays([pa.array([*words, ""]), pa.array([*(by[1][w] for w in words), total[1]], pa.int64()), pa.array([*(by[0][w] for w in words), total[0]], pa.int64())], ["word", "t", "c"])
+                if len(by[0]) + len(by[1]) > COUNTED:
+                    yield flush()
+        yield flush()
 
     counts = cut(rows.mapInArrow(counted, "word string, t long, c long").groupBy("word").agg(F.sum("t").alias("t"), F.sum("c").alias("c")).where(f"t >= {least} or word = '' or word in ({', '.join(repr(w + '$') for w in seeds)})"))
     whole = counts.where("word = ''").collect()
@@ -182,7 +200,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, size: int =
         return [int(s[0] >> np.uint64(1)) if len(s := shingles(t)) else 0 for t in texts.to_pylist()]
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(one_shingle(batch.column(1)), pa.int64())], ["toxic", "text", "key"])
 
     rows = docs.select("doc_id", "text").join(F.broadcast(marked), "doc_id").select(F.col("toxic").cast("int").alias("toxic"), "text")
@@ -195,7 +213,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, size: int =
     exceptions = EXCEPTIONS
 
     def weighed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             got = [evidence(t, lexicon, exceptions) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.float64()), pa.array([g[2] for g in got], pa.int64())], ["toxic", "weight", "words"])
 
@@ -211,7 +229,7 @@ def score(docs: DataFrame, lexicon: tuple, weights: tuple, exceptions: tuple = E
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             got = [evidence(t, lexicon, exceptions) for t in batch.column(at).to_pylist()]
             p = 1 / (1 + np.exp(-_features([g[0] for g in got], [g[2] for g in got]) @ np.array(weights)))
             added = [pa.array(p, pa.float64()), pa.array((p >= 0.5).astype(np.int32)), pa.array([g[1] for g in got], pa.int64())]
