@@ -15,7 +15,9 @@ import heapq
 import json
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -91,21 +93,24 @@ class Codec:
         self.known[word] = entry = (ids, b"".join(map(self.bytes_of.__getitem__, ids)))
         return entry
 
+    def entries(self, text: str) -> list[tuple[list[int], bytes]]:
+        """Ids and bytes of each word and special token of the text."""
+        if self.cut and self.cut.search(text):
+            out = []
+            for k, piece in enumerate(self.cut.split(text)):
+                out += [([self.special[piece]], piece.encode())] if k % 2 else self.entries(piece)
+            return out
+        words = self.words.findall(text)
+        found = list(map(self.known.get, words))
+        if None in found:
+            learn, get = self._learn, self.known.get
+            found = [e or get(w) or learn(w) for e, w in zip(found, words, strict=True)]
+        return found
+
     def both(self, text: str) -> tuple[list[int], bytes]:
         """Ids of the text, and the bytes that decoding these ids gives."""
-        ids: list[int] = []
-        out: list[bytes] = []
-        get = self.known.get
-        for k, piece in enumerate(self.cut.split(text) if self.cut else [text]):
-            if k % 2:
-                ids.append(self.special[piece])
-                out.append(self.bytes_of[ids[-1]])
-                continue
-            for w in self.words.findall(piece):
-                entry = get(w) or self._learn(w)
-                ids += entry[0]
-                out.append(entry[1])
-        return ids, b"".join(out)
+        found = self.entries(text)
+        return [i for e in found for i in e[0]], b"".join([e[1] for e in found])
 
     def decode(self, ids: list[int]) -> str:
         return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
@@ -126,13 +131,16 @@ def encode(df: DataFrame, path: str, text: str = "text", decoded: bool = True) -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tool = codec(path)
         for batch in batches:
-            for start in range(0, batch.num_rows, 512):
-                part = batch.slice(start, 512)
+            for start in range(0, batch.num_rows, 128):
+                part = batch.slice(start, 128)
                 texts = [x or "" for x in part.column(part.schema.get_field_index(text)).to_pylist()]
-                done = [tool.both(x) for x in texts]
-                arrays = [*part.columns, pa.array([len(i) for i, _ in done], pa.int64()), pa.array([i for i, _ in done], pa.list_(pa.int32()))]
+                found = [tool.entries(x) for x in texts]
+                ids = [np.fromiter(chain.from_iterable([e[0] for e in f]), np.int32) for f in found]
+                sizes = np.array([len(i) for i in ids], np.int64)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), pa.array(np.concatenate(ids)))
+                arrays = [*part.columns, pa.array(sizes), lists]
                 if decoded:
-                    arrays.append(pa.array([b.decode("utf-8", "replace") for _, b in done], pa.string()))
+                    arrays.append(pa.array([b"".join([e[1] for e in f]).decode("utf-8", "replace") for f in found], pa.string()))
                 yield pa.RecordBatch.from_arrays(arrays, [*part.schema.names, *outputs])
 
     return df.mapInArrow(run, schema)
