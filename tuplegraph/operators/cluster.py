@@ -176,8 +176,8 @@ def merge_twins(graph: Graph) -> DataFrame:
     return groups.join(texts, keys).select("rel", "first_id", "n_nodes", "text")
 
 
-def levels(graph: Graph, size: int, fit: int, technique=None) -> list[DataFrame]:
-    """Clusterings of clusterings until at most ``fit`` clusters are left."""
+def levels(graph: Graph, size: int, fit: int, technique=None, most: int = 4) -> list[DataFrame]:
+    """Clusterings of clusterings until at most ``fit`` clusters are left, or after ``most`` levels."""
     from .quotient import quotient
 
     out, current = [], graph
@@ -185,9 +185,10 @@ def levels(graph: Graph, size: int, fit: int, technique=None) -> list[DataFrame]
         membership = cut((technique or greedy_ball)(current, size))
         out.append(membership)
         n = membership.select("cluster_id").distinct().count()
-        if n <= fit or n >= current.nodes.count():
+        if n <= fit or n >= current.nodes.count() or len(out) == most:
             return out
-        current = quotient(current, membership)
+        small = quotient(current, membership)
+        current = Graph(cut(small.nodes), cut(small.edges))
 
 
 # ---- refinement of a coarse partition ----

@@ -10,7 +10,8 @@ from ..plans.loop import cut
 
 def components(links: DataFrame, max_rounds: int = 40) -> DataFrame:
     """(node, label) for the ends of links (a, b): the least node that is reachable. The driver sees one flag a round."""
-    both = cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct())
+    turned = F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"))))  # both from one evaluation
+    both = cut(links.where("a <> b").select(turned.alias("e")).select("e.a", "e.b").distinct())
     state = cut(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.min("a")).alias("label")))
     for _ in range(max_rounds):
         near = both.join(state.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("near"))
