@@ -140,3 +140,18 @@ def test_subset_minimal(spark):
     rows = [("q", 2, ["x"], [2], [2], 0, 0.0), ("q", 1, ["1>2", "1>3"], [1, 2, 3], [2, 3], 2, 2.0)]
     a = spark.createDataFrame([(q, r, [] if r == 2 else t, m, leaf, b, c) for q, r, t, m, leaf, b, c in rows], "query_id string, root long, tree array<string>, members array<long>, leaves array<long>, branches int, total double")
     assert [r.root for r in answers.subset_minimal(a).collect()] == [2]
+
+
+def test_bidirectional_rounds_reach_exact_costs(spark):
+    from tuplegraph.operators import search
+    from tuplegraph.operators.graph import Graph
+
+    links = [(a, b, 1.0 + (a * b) % 3) for a in range(12) for b in range(12) if a != b and (a + 2 * b) % 5 == 0]
+    edges = spark.createDataFrame([(a, b, "x", w) for a, b, w in links], "src long, dst long, etype string, weight double")
+    nodes = spark.createDataFrame([(n, 1.0) for n in range(12)], "node_id long, prestige double")
+    queries = spark.createDataFrame([("q", "x"), ("q", "y")], "query_id string, term string")
+    matches = spark.createDataFrame([("q", "x", 1), ("q", "x", 2), ("q", "y", 7)], "query_id string, term string, node_id long")
+    got = search.bidirectional_rounds(Graph(nodes, edges), matches, queries, k=10**6, batch=100, max_rounds=12).collect()
+    g = Adjacency(links)
+    exact = {"x": distances(g, {1, 2})[0], "y": distances(g, {7})[0]}
+    assert {(r.term, r.node_id): r.dist for r in got} == {(t, v): c for t in exact for v, c in exact[t].items()}

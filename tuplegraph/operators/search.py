@@ -87,6 +87,45 @@ def backward_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, max_co
     return paths(found, next_hops(graph.edges, dist))
 
 
+def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k: int = 10, batch: int = 64, max_rounds: int = 8, mu: float = 0.5, combine: str = "max", slack: float = 1e-9) -> DataFrame:
+    """(query_id, term, node_id, dist, activation, taken): bidirectional search with ``batch`` nodes a query and round.
+
+    The most activated nodes that are open pass on distance and activation against their in-edges, and take distances
+    along their out-edges from neighbours that have one. A node whose distance improves is open again, so improvements
+    reach what depends on it. The search ends when every query has ``k`` nodes with a distance for each of its terms,
+    when nothing is open, or after ``max_rounds``.
+    """
+    from . import activation
+
+    links = cut(graph.edges.groupBy("src", "dst").agg(F.min("weight").alias("w")))
+    inward = cut(activation.shares(graph.edges, "in").withColumnRenamed("share", "s"))
+    seeded = activation.seed(complete(matches, queries), graph.nodes)
+    state = cut(seeded.select("query_id", "term", "node_id", F.lit(0.0).alias("dist"), "activation", F.lit(False).alias("taken")))
+    need = queries.groupBy("query_id").agg(F.count_distinct("term").alias("need"))
+    keys, how = ["query_id", "term", "node_id"], F.max if combine == "max" else F.sum
+    for _ in range(max_rounds):
+        total = state.where("not taken").groupBy("query_id", "node_id").agg(F.sum("activation").alias("a"))
+        picked = cut(total.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("a"), "node_id"))).where(F.col("r") <= batch).select("query_id", "node_id"))
+        if picked.isEmpty():
+            break
+        now = state.join(picked, ["query_id", "node_id"])
+        back = now.join(links, F.col("node_id") == F.col("dst")).join(inward, (F.col("giver") == F.col("dst")) & (F.col("taker") == F.col("src")))
+        back = back.select("query_id", "term", F.col("src").alias("node_id"), (F.col("dist") + F.col("w")).alias("offer"), (mu * F.col("activation") * F.col("s")).alias("gift"))
+        ahead = picked.join(links, F.col("node_id") == F.col("src")).select("query_id", "node_id", "dst", "w")
+        known = state.select("query_id", "term", F.col("node_id").alias("dst"), "dist")
+        front = ahead.join(known, ["query_id", "dst"]).select("query_id", "term", "node_id", (F.col("dist") + F.col("w")).alias("offer"), F.lit(0.0).alias("gift"))
+        offers = back.unionByName(front).groupBy(*keys).agg(F.min("offer").alias("offer"), how("gift").alias("gift"))
+        merged = state.join(offers, keys, "full_outer").join(picked.withColumn("now", F.lit(True)), ["query_id", "node_id"], "left")
+        better = F.col("offer").isNotNull() & (F.col("dist").isNull() | (F.col("offer") < F.col("dist") - slack))
+        kept = F.coalesce("activation", F.lit(0.0)) * F.when(F.col("now"), 1 - mu).otherwise(1.0)
+        gift = F.coalesce("gift", F.lit(0.0))
+        state = cut(merged.select(*keys, F.when(better, F.col("offer")).otherwise(F.col("dist")).alias("dist"), (F.greatest(kept, gift) if combine == "max" else kept + gift).alias("activation"), (~better & (F.coalesce("taken", F.lit(False)) | F.coalesce("now", F.lit(False)))).alias("taken")))
+        full = state.groupBy("query_id", "node_id").agg(F.count(F.lit(1)).alias("need")).join(F.broadcast(need), ["query_id", "need"])
+        if full.groupBy("query_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= k).count() == need.count():
+            break
+    return state
+
+
 def local_search(matches: DataFrame, edges: DataFrame, nodes: DataFrame, algorithm: str = "bidirectional", k: int = 10, limit: int | None = None, mu: float = 0.5, combine: str = "max", max_cost: float = 1e9, origin_weight: bool = False, per_root: int = 1, lam: float = 0.2) -> DataFrame:
     """Search in one task a query: (query_id, rnk, root, leaves, tree, n_nodes, n_edges, node_score, edge_score, tree_score, touched, explored).
 

@@ -255,6 +255,14 @@ def _(spark, sf):
     return measure.bound_coverage(rows)
 
 
+@query("bidirectional_rounds")
+def _(spark, sf):
+    g = the_graph(spark, sf)
+    q, m = asked(spark, sf, PAIRS)
+    found = held(spark, sf, "rounds", lambda: cut(search.bidirectional_rounds(g, m, q)))
+    return search.roots(found.select("query_id", "term", "node_id", "dist"), q, 10)
+
+
 # ---- two phases ----
 
 
