@@ -27,16 +27,20 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, lexicon, weights).where("predicted = 0").select(*columns)
 
 
+#: Stands for a missing id in joins.
+NO_ID = -(2**63)
+
+
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates, the one with the least doc_id; documents without words all stay."""
-    kept = near_dup.link(docs).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("th").alias("kept_th"), "class_id")
-    grouped = kept.where("class_id is not null").groupBy("class_id").agg(F.min(F.struct("kept_id", "kept_th")).alias("k")).select("k.kept_id", "k.kept_th")
-    bare = kept.where("class_id is null").select("kept_id", "kept_th").distinct()
-    chosen = grouped.union(bare)
-    joined = docs.join(chosen, (F.xxhash64(docs["text"]) == chosen.kept_th) & docs["doc_id"].cast("long").eqNullSafe(chosen.kept_id), "left_semi")
-    words = F.length(F.trim(F.coalesce("text", F.lit("")))) > 0
-    # rows that are equal in id and text would both be chosen
-    return joined.where(words).dropDuplicates(["doc_id", "text"]).unionByName(joined.where(~words))
+    """One document of each group of near duplicates, the one with the least doc_id; documents without words all stay, and
+    rows that are equal in id and text count as one."""
+    kept = near_dup.link(docs).where("kept").select(F.coalesce("doc_id", F.lit(NO_ID)).alias("_id"), F.col("th").alias("_th"), "class_id")
+    grouped = kept.where("class_id is not null").groupBy("class_id").agg(F.min(F.struct("_id", "_th")).alias("k")).select("k._id", "k._th")
+    chosen = grouped.union(kept.where("class_id is null").select("_id", "_th").distinct())
+    columns = docs.columns
+    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("_th", F.xxhash64("text"))
+    # rows that are equal in id and text are chosen together; the join has dealt them alike, so one is kept without a shuffle
+    return keyed.join(chosen, ["_id", "_th"], "left_semi").dropDuplicates(["_id", "_th"]).select(*columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
