@@ -77,6 +77,12 @@ def opened(uri: str, name: str, kind) -> np.ndarray:
         return np.memmap(copy, kind, "r") if copy.tell() else np.empty(0, kind)
 
 
+def counted_pairs(uri: str, s: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of a shard and their counts, of four bytes each where they fit."""
+    pair, raw = opened(uri, f"x{s}.pair", np.uint64), opened(uri, f"x{s}.count", np.uint8)
+    return pair, raw.view(np.uint32 if len(raw) == 4 * len(pair) else np.int64)
+
+
 # ---- Elias-Fano ----
 
 
@@ -512,7 +518,7 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
             real = w <= size
             kept = real & (counts >= keep)
             put(uri, f"x{s}.pair", pair)
-            put(uri, f"x{s}.count", pair_count.astype(np.int64))
+            put(uri, f"x{s}.count", pair_count.astype(np.uint32 if int(pair_count.max()) < 2**32 else np.int64))
             put(uri, f"x{s}.third", np.stack([of[kept], w[kept], counts[kept]]).astype(np.int64))
             runs = np.flatnonzero(np.concatenate(([True], u[1:] != u[:-1], [True])))
             return s, len(pair), int(np.diff(runs).max()), int((pair_count == 1).sum()), int((pair_count == 2).sum()), int((real & (counts == 1)).sum()), int((real & (counts == 2)).sum())
@@ -540,7 +546,7 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
                     for name in ("pp", "tb", "tp"):
                         put(uri, f"{name}{s}", np.empty(0, np.uint8))
                     continue
-                pair, count = opened(uri, f"x{s}.pair", np.uint64), opened(uri, f"x{s}.count", np.int64)
+                pair, count = counted_pairs(uri, s)
                 of, w, c = opened(uri, f"x{s}.third", np.int64).reshape(3, -1)
                 u, v = (pair // np.uint64(size + 2)).astype(np.int64), (pair % np.uint64(size + 2)).astype(np.int64)
                 local = u // shards
@@ -582,16 +588,20 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
         out = np.zeros(len(u))
         for s in np.unique(part).tolist():
             own = np.flatnonzero(part == s)
-            pair, count = opened(uri, f"x{s}.pair", np.uint64), opened(uri, f"x{s}.count", np.int64)
+            pair, count = counted_pairs(uri, s)
             base = np.uint64(size + 2)
             head, inverse = np.unique(u[own], return_inverse=True)
             low, high = np.searchsorted(pair, head.astype(np.uint64) * base), np.searchsorted(pair, (head + 1).astype(np.uint64) * base)
-            sums = np.concatenate(([0], np.cumsum(count)))
+            sums = np.concatenate(([0], np.cumsum(count, dtype=np.int64)))
             outside, kinds = sums[high] - sums[low], high - low
             out[own] = (count[place[own]] - d2) / outside[inverse] + d2 * kinds[inverse] / outside[inverse] * 10 ** model.unigram(counts_of(model, w[own]))
         return out
 
     spark.range(0, shards, 1, shards).mapInArrow(weights, "n long").agg(F.sum("n")).collect()
+    system, path = _system(uri)
+    for s in sorted(made):  # what only the build needed
+        for name in ("pair", "count", "third"):
+            system.delete_file(f"{path}/x{s}.{name}")
     return model
 
 
