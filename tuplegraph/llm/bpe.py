@@ -102,7 +102,7 @@ class Codec:
             return out
         words = self.words.findall(text)
         found = list(map(self.known.get, words))
-        if None in found:
+        if not all(found):
             learn, get = self._learn, self.known.get
             found = [e or get(w) or learn(w) for e, w in zip(found, words, strict=True)]
         return found
