@@ -155,3 +155,25 @@ def test_bidirectional_rounds_reach_exact_costs(spark):
     g = Adjacency(links)
     exact = {"x": distances(g, {1, 2})[0], "y": distances(g, {7})[0]}
     assert {(r.term, r.node_id): r.dist for r in got} == {(t, v): c for t in exact for v, c in exact[t].items()}
+
+
+def test_clusters_above_one_task_grow_over_every_edge(spark):
+    from tuplegraph.operators import cluster
+    from tuplegraph.operators.graph import Graph
+
+    # a path of consecutive numbers: cut by residues of the number, it has no edge left
+    links = [(a, b, 1.0) for v in range(1, 40) for a, b in ((v, v + 1), (v + 1, v))]
+    graph = Graph(spark.createDataFrame([(v, 1.0) for v in range(1, 41)], "node_id long, prestige double"), spark.createDataFrame(links, "src long, dst long, weight double"))
+    makers = [cluster.connection, cluster.ratio, cluster.greedy_ball, lambda g, n, parts: cluster.ratio(g, n, scan="seed", parts=parts), lambda g, n, parts: cluster.ratio(g, n, criterion="diameter", parts=parts)]
+    for make in makers:
+        groups = {}
+        for r in make(graph, 5, parts=4).collect():
+            groups.setdefault(r.cluster_id, []).append(r.node_id)
+        assert sorted(v for g in groups.values() for v in g) == list(range(1, 41))
+        for g in groups.values():
+            assert sorted(g) == list(range(min(g), min(g) + len(g))) and len(g) <= 5  # connected by edges of the path
+        for a, b in zip(sorted(groups), sorted(groups)[1:], strict=False):
+            assert len(groups[a]) + len(groups[b]) > 2  # single nodes are never side by side
+    start = spark.createDataFrame([(7, 1.0), (30, 0.9)], "node_id long, activation double")
+    whole, parted = ({r.node_id: r.cluster_id for r in cluster.activated(graph, start, 6, parts=n).collect()} for n in (1, 4))
+    assert whole == parted

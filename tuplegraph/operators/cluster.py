@@ -63,13 +63,11 @@ def random(graph: Graph, size: int) -> DataFrame:
     return named(paged.select("node_id", "g"))
 
 
-def _local(graph: Graph, make, parts: int | None) -> DataFrame:
+def _local(graph: Graph, make) -> DataFrame:
     spark = prepare(graph.nodes.sparkSession)
-    parts = parts or max(1, math.ceil(graph.nodes.count() / LOCAL_NODES))
-    place = lambda c: F.pmod(F.col(c), F.lit(parts)).cast("int")
-    nodes = graph.nodes.select(place("node_id").alias("part"), F.lit("n").alias("kind"), F.col("node_id").alias("a"), F.lit(0).cast("long").alias("b"), F.col("prestige").alias("x"))
-    edges = graph.edges.where(place("src") == place("dst")).groupBy("src", "dst").agg(F.min("weight").alias("w"))
-    rows = nodes.unionByName(edges.select(place("src").alias("part"), F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.col("w").alias("x")))
+    nodes = graph.nodes.select(F.lit(0).alias("part"), F.lit("n").alias("kind"), F.col("node_id").alias("a"), F.lit(0).cast("long").alias("b"), F.col("prestige").alias("x"))
+    edges = graph.edges.groupBy("src", "dst").agg(F.min("weight").alias("w"))
+    rows = nodes.unionByName(edges.select(F.lit(0).alias("part"), F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.col("w").alias("x")))
 
     def one(frame: pd.DataFrame) -> pd.DataFrame:
         n, e = frame[frame.kind == "n"], frame[frame.kind == "e"]
@@ -87,44 +85,81 @@ def _order(ids, seed: int):
     return sorted(ids, key=lambda v: hashlib.md5(f"{seed}:{v}".encode()).digest())
 
 
+def _grown(graph: Graph, size: int, criterion: str, order, parts: int | None, seed: int = 0, scan: str = "members") -> DataFrame:
+    """Clusters grown in sequence by one task, or by ``rounds`` over all edges where more than one task is needed."""
+    if (parts or math.ceil(graph.nodes.count() / LOCAL_NODES)) > 1:
+        return rounds(graph, size, criterion, seed=seed, scan=scan)
+    return _local(graph, lambda g, ids, p: grow(g, ids, size, criterion, order(ids), scan))
+
+
 def connection(graph: Graph, size: int, seed: int = 0, parts: int | None = None) -> DataFrame:
     """Connected clusters around random seeds."""
-    return _local(graph, lambda g, ids, p: grow(g, ids, size, "connection", _order(ids, seed)), parts)
+    return _grown(graph, size, "connection", lambda ids: _order(ids, seed), parts, seed)
 
 
 def ratio(graph: Graph, size: int, scan: str = "members", criterion: str = "ratio", parts: int | None = None) -> DataFrame:
     """Clusters that grow by the free neighbour whose forward and backward weights are most alike, or by least diameter."""
-    return _local(graph, lambda g, ids, p: grow(g, ids, size, criterion, sorted(ids), scan), parts)
+    return _grown(graph, size, criterion, sorted, parts, scan=scan)
 
 
 def greedy_ball(graph: Graph, size: int, seed: int = 0, parts: int | None = None) -> DataFrame:
     """Random seeds take all their neighbours, then those of the nearest member, and so on."""
-    return _local(graph, lambda g, ids, p: grow(g, ids, size, "ball", _order(ids, seed)), parts)
+    return _grown(graph, size, "ball", lambda ids: _order(ids, seed), parts, seed)
 
 
 def activated(graph: Graph, activation: DataFrame, page: int, mu: float = 0.5, parts: int | None = None) -> DataFrame:
-    """Clusters in order of activation; ``activation`` (node_id, activation) becomes the nodes' start values."""
-    nodes = graph.nodes.drop("prestige").join(activation, "node_id", "left").withColumn("prestige", F.coalesce("activation", F.lit(0.0)))
-    return _local(Graph(nodes, graph.edges), lambda g, ids, act: by_activation(g, act, page, mu), parts)
-
+    """Clusters in order of activation; ``activation`` (node_id, activation) becomes the nodes' start values.
 
-def rounds(graph: Graph, size: int, criterion: str = "connection", max_rounds: int = 20, seed: int = 0) -> DataFrame:
-    """Connection, ratio or ball clusters in parallel rounds of proposals.
+    What a node passes on is below its own activation, so picks come in the order of the largest activation that any path
+    brings. Above one task that order is found by rounds of relaxation over all edges, with the same pages.
+    """
+    nodes = graph.nodes.drop("prestige").join(activation, "node_id", "left").withColumn("prestige", F.coalesce("activation", F.lit(0.0)))
+    if (parts or math.ceil(graph.nodes.count() / LOCAL_NODES)) <= 1:
+        return _local(Graph(nodes, graph.edges), lambda g, ids, act: by_activation(g, act, page, mu))
+    links = graph.edges.groupBy("src", "dst").agg(F.min("weight").alias("w"))
+    pull = links.groupBy("dst").agg(F.sum(1 / F.col("w")).alias("pull"))
+    shares = cut(links.join(pull, "dst").select("src", "dst", (1 / F.col("w")).alias("part"), "pull"))
+    state = cut(nodes.select("node_id", F.col("prestige").alias("act")))
+    fresh = state.where("act > 0")
+    while not fresh.isEmpty():
+        given = shares.join(fresh.withColumnRenamed("node_id", "dst"), "dst").groupBy(F.col("src").alias("node_id")).agg(F.max(F.lit(mu) * F.col("act") * F.col("part") / F.col("pull")).alias("given"))
+        fresh = cut(state.join(given, "node_id").where(F.col("given") > F.col("act")).select("node_id", F.col("given").alias("act")))
+        state = cut(state.join(fresh.withColumnRenamed("act", "new"), "node_id", "left").select("node_id", F.coalesce("new", "act").alias("act")))
+    # runs of the global order, numbered from the counts of the runs before them, so no window spans all rows
+    runs = cut(state.orderBy(F.desc("act"), "node_id").withColumn("run", F.spark_partition_id()))
+    before = runs.groupBy("run").agg(F.count(F.lit(1)).alias("n")).withColumn("base", F.coalesce(F.sum("n").over(Window.orderBy("run").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("n")
+    at = F.row_number().over(Window.partitionBy("run").orderBy(F.desc("act"), "node_id")) - 1 + F.col("base")
+    return named(runs.join(F.broadcast(before), "run").select("node_id", F.floor(at / page).alias("g")))
+
+
+def rounds(graph: Graph, size: int, criterion: str = "connection", max_rounds: int | None = None, seed: int = 0, scan: str = "members") -> DataFrame:
+    """Connection, ratio, diameter or ball clusters in parallel rounds of proposals, until every node has a cluster.
 
     A round makes seeds of free nodes that come first, by a hash, among their free neighbours when no cluster with room is
     near; every other free node beside such a cluster proposes to the one that its criterion prefers; a cluster accepts the
-    best proposals that it has room for. Whoever is accepted touches a member, so clusters stay connected.
+    best proposals that it has room for (one a round by diameter, since each member changes the distances). Whoever is
+    accepted touches a member, so clusters stay connected. Every round takes a node, so the loop ends by itself.
     """
-    links = graph.edges.select("src", "dst", "weight").unionByName(graph.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
-    links = cut(links.groupBy("src", "dst").agg(F.min("weight").alias("w"), F.max("weight").alias("v")).where("src <> dst"))
+    least = graph.edges.where("src <> dst").groupBy("src", "dst").agg(F.min("weight").alias("x"))
+    sides = least.select("src", "dst", F.col("x").alias("there"), F.lit(None).cast("double").alias("back")).unionByName(least.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.lit(None).cast("double").alias("there"), F.col("x").alias("back")))
+    low, high = F.least("there", "back"), F.greatest("there", "back")
+    both = F.col("there").isNotNull() & F.col("back").isNotNull()
+    links = cut(sides.groupBy("src", "dst").agg(F.min("there").alias("there"), F.min("back").alias("back")).select("src", "dst", low.alias("w"), F.when(both, high / low).otherwise(F.lit(float("inf"))).alias("unlike")))
     turn = lambda c: F.xxhash64(F.lit(seed), F.col(c))
     state = cut(graph.nodes.select("node_id", F.lit(None).cast("long").alias("cluster_id"), F.lit(0.0).alias("reach")))
-    want = {"connection": turn("cluster_id").cast("double"), "ratio": F.col("v") / F.col("w"), "ball": F.col("far")}[criterion]
-    for _ in range(max_rounds):
+    want = {"connection": turn("cluster_id").cast("double"), "ratio": F.col("unlike"), "ball": F.col("far"), "diameter": F.col("wide")}[criterion]
+    apart = cut(graph.nodes.sparkSession.createDataFrame([], "cluster_id long, dst long, other long, d double")) if criterion == "diameter" else None
+    done = 0
+    while max_rounds is None or done < max_rounds:
+        done += 1
         sizes = state.where("cluster_id is not null").groupBy("cluster_id").agg((F.lit(size) - F.count(F.lit(1))).alias("room")).where("room > 0")
         open_ = state.join(sizes, "cluster_id").select(F.col("node_id").alias("dst"), "cluster_id", "reach", "room")
+        open_ = open_.where(F.col("dst") == F.col("cluster_id")) if scan == "seed" and criterion != "ball" else open_
         free = state.where("cluster_id is null").select("node_id")
         offers = links.join(free.withColumnRenamed("node_id", "src"), "src").join(open_, "dst").withColumn("far", F.col("reach") + F.col("w"))
+        if apart is not None:
+            reached = cut(offers.join(apart, ["cluster_id", "dst"]).groupBy("src", "cluster_id", "other").agg(F.min(F.col("d") + F.col("w")).alias("d")))
+            offers = offers.join(reached.groupBy("src", "cluster_id").agg(F.max("d").alias("wide")), ["src", "cluster_id"]).withColumn("room", F.lit(1).cast("long"))
         best = offers.withColumn("want", want).groupBy("src").agg(F.min(F.struct("want", "cluster_id", "far", "room")).alias("o"))
         asked = best.select(F.col("src").alias("node_id"), "o.cluster_id", "o.want", "o.far", "o.room")
         taken = asked.withColumn("r", F.row_number().over(Window.partitionBy("cluster_id").orderBy("want", "node_id"))).where("r <= room").select("node_id", F.col("cluster_id").alias("new"), F.col("far").alias("at"))
@@ -135,6 +170,10 @@ def rounds(graph: Graph, size: int, criterion: str = "connection", max_rounds: i
         got = cut(taken.unionByName(seeds))
         if got.isEmpty():
             break
+        if apart is not None:
+            joined = got.select(F.col("node_id").alias("src"), F.col("new").alias("cluster_id"))
+            far = reached.join(joined, ["src", "cluster_id"])
+            apart = cut(apart.unionByName(far.select("cluster_id", F.col("src").alias("dst"), "other", "d")).unionByName(far.select("cluster_id", F.col("other").alias("dst"), F.col("src").alias("other"), "d")).unionByName(joined.select("cluster_id", F.col("src").alias("dst"), F.col("src").alias("other"), F.lit(0.0).alias("d"))))
         state = cut(state.join(got, "node_id", "left").select("node_id", F.coalesce("cluster_id", "new").alias("cluster_id"), F.when(F.col("new").isNotNull(), F.col("at")).otherwise(F.col("reach")).alias("reach")))
     return named(state.select("node_id", F.coalesce("cluster_id", "node_id").alias("g")))
 
