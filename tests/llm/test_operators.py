@@ -3,6 +3,7 @@
 import hashlib
 import math
 import re
+import tempfile
 import zlib
 from collections import Counter
 
@@ -266,6 +267,18 @@ def test_language_model(spark, docs, empty):
     assert ngram.score(table, none).where("n_known > 0 or train_tokens > 0").count() == 0
 
 
+def test_language_model_keeps_trigrams_seen_once(spark):
+    table = spark.createDataFrame([(1, "a b c"), (2, "x b d"), (3, "y b d")], "doc_id long, text string")
+    text = table.where("doc_id = 1")
+    whole, cut = (ngram.score(text, m).first().score for m in (ngram.train(table, shards=2), ngram.train(table, shards=2, keep=2)))
+    assert whole > cut + 0.1  # c follows a b, though only once
+    for high in (7, 2**33):
+        uri = tempfile.mkdtemp()
+        columns = [np.array([0, 1]), np.array([5, 6]), np.array([1, high])]
+        ngram.put_third(uri, 0, *columns)
+        assert ngram.third_of(uri, 0).tolist() == [c.tolist() for c in columns]
+
+
 def test_toxicity(spark, docs, labels, empty):
     lexicon = tuple((toxicity.folded(w), v) for w, v in toxicity.SEEDS.items())
     hits = lambda t: toxicity.evidence(t, lexicon, toxicity.EXCEPTIONS)[1]

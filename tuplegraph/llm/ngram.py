@@ -9,8 +9,8 @@ rank among the successors of the longer one. Both sequences are Elias-Fano coded
 quantised to a byte. All arrays are files that are mapped into memory.
 
 Smoothing is interpolated absolute discounting with discounts from the counts of counts; the unigram's discounted mass is
-the probability of an unknown word. Counts cover all training texts. Trigrams below ``KEEP`` occurrences are counted but
-get no node; their mass goes to their context's back-off.
+the probability of an unknown word. Counts cover all training texts, and every trigram has a node; with ``keep`` above 1,
+trigrams below that many occurrences get none, and their mass goes to their context's back-off.
 
 Scale: a task counts its texts and hands each shard one compressed block, so the shuffle carries distinct n-grams of a
 task, not occurrences. The driver holds one row of totals for each shard. A shard holds the pairs of the words whose
@@ -43,7 +43,7 @@ from pyspark.sql import functions as F
 
 from .common import fold, partitions, prepare, shared_dir
 
-KEEP = 2
+KEEP = 1
 STEP = 0.04  # of a quantised log10 value
 BATCH_CHARS = 5_000_000
 END = np.uint64(0x8E5D3A1B00C0FFEE)  # stands for the end in place of a word's hash
@@ -83,6 +83,18 @@ def counted_pairs(uri: str, s: int) -> tuple[np.ndarray, np.ndarray]:
     return pair, raw.view(np.uint32 if len(raw) == 4 * len(pair) else np.int64)
 
 
+def put_third(uri: str, s: int, *columns: np.ndarray) -> None:
+    """Pair, word and count of a shard's trigrams, of four bytes each where they fit; the last byte tells the width."""
+    width = 4 if all(int(c.max(initial=0)) < 2**32 for c in columns) else 8
+    rows = np.stack(columns).astype(np.uint32 if width == 4 else np.int64)
+    put(uri, f"x{s}.third", np.append(rows.reshape(-1).view(np.uint8), np.uint8(width)))
+
+
+def third_of(uri: str, s: int) -> np.ndarray:
+    raw = opened(uri, f"x{s}.third", np.uint8)
+    return raw[:-1].view(np.uint32 if raw[-1] == 4 else np.int64).reshape(3, -1).astype(np.int64)
+
+
 # ---- Elias-Fano ----
 
 
@@ -519,7 +531,7 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
             kept = real & (counts >= keep)
             put(uri, f"x{s}.pair", pair)
             put(uri, f"x{s}.count", pair_count.astype(np.uint32 if int(pair_count.max()) < 2**32 else np.int64))
-            put(uri, f"x{s}.third", np.stack([of[kept], w[kept], counts[kept]]).astype(np.int64))
+            put_third(uri, s, of[kept], w[kept], counts[kept])
             runs = np.flatnonzero(np.concatenate(([True], u[1:] != u[:-1], [True])))
             return s, len(pair), int(np.diff(runs).max()), int((pair_count == 1).sum()), int((pair_count == 2).sum()), int((real & (counts == 1)).sum()), int((real & (counts == 2)).sum())
 
@@ -547,7 +559,7 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
                         put(uri, f"{name}{s}", np.empty(0, np.uint8))
                     continue
                 pair, count = counted_pairs(uri, s)
-                of, w, c = opened(uri, f"x{s}.third", np.int64).reshape(3, -1)
+                of, w, c = third_of(uri, s)
                 u, v = (pair // np.uint64(size + 2)).astype(np.int64), (pair % np.uint64(size + 2)).astype(np.int64)
                 local = u // shards
                 outside = np.bincount(local, weights=count, minlength=contexts)
