@@ -1,6 +1,7 @@
 """The text operators on small odd tables, each against a brute-force version or an exact property."""
 
 import hashlib
+import itertools
 import math
 import re
 import tempfile
@@ -167,6 +168,28 @@ def test_decontamination(spark, docs, empty):
     assert decontam.overlaps(empty, items).count() == 0 and decontam.overlaps(docs, items.limit(0)).count() == 0
 
 
+def test_every_accepted_substitution_has_a_seed(spark):
+    rng = np.random.default_rng(5)
+    items, rows, want = [], [], set()
+    for n in (*range(4, 17), 20, 27):
+        item = [f"i{n}x{k}" for k in range(n)]
+        items.append((n, " ".join(item)))
+        width = min(n, 16)
+        wrong = width - math.ceil(width * 0.75)
+        patterns = {c for c in itertools.combinations(range(width), wrong)}
+        chosen = sorted(patterns) if len(patterns) < 60 else [sorted(patterns)[k] for k in rng.choice(len(patterns), 60, replace=False)]
+        more = [tuple(range(3, width, 4))[:wrong], *[tuple(rng.choice(n, max(1, n // 4), replace=False).tolist()) for _ in range(20)]]
+        for spoiled in [*chosen, *more, *[(*c, rng.integers(width)) for c in chosen[:10]]]:
+            doc = ["x", *[f"z{k}" if k in spoiled else w for k, w in enumerate(item)], "y"]
+            same = [doc[k + 1] == w for k, w in enumerate(item)]
+            rows.append((len(rows), " ".join(doc)))
+            if max(sum(same[a : a + width]) for a in range(n - width + 1)) >= math.ceil(0.75 * width):
+                want.add((rows[-1][0], n))
+    docs, items = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    for inline in (200_000, 0):
+        assert {(r.doc_id, r.item_id) for r in decontam.overlaps(docs, items, inline_seeds=inline).collect()} == want
+
+
 def test_sharding(docs, empty):
     got = sharding.assign(docs).collect()
     texts = Counter(t or "" for _, t in ODD)
