@@ -6,9 +6,9 @@ items and of the documents are hashed under every mask, equal hashes give a diag
 position), and on that diagonal the aligned tokens are compared: a pair is contaminated when some stretch of
 ``stretch`` item tokens (or the whole item, where it is shorter) agrees in ``agree`` of its positions.
 
-Scale: the documents are never shuffled whole. With up to ``inline_seeds`` item seeds (checked by counting), the seeds
-are part of the plan and each document keeps only its hit positions. Beyond that the document seeds are joined with the
-item seeds by hash, and only documents with hits are fetched again; both ways give the same rows.
+Scale: with up to ``inline_seeds`` item seeds (checked by counting), the seeds are part of the plan and each document keeps
+only its hit positions. Beyond that the document seeds are joined with the item seeds by hash. Either way only documents
+with enough hits on a diagonal are fetched again, by broadcast keys up to ``BROADCAST_DOCS`` of them; the rows are the same.
 
 No accepted pair is without a seed: the agreeing tokens of an accepted stretch lie in one run more than it has
 substitutions, so some run holds three tokens and the first mask hits. Only in the lengths where three need not be adjacent
@@ -32,6 +32,8 @@ from .common import cut, let, prepare
 MASKS = ("111", "1101", "1011")
 STRETCH, AGREE, SHORTEST = 16, 0.75, 4
 INLINE_SEEDS = 200_000
+#: Keys of documents with enough hits that are broadcast when they were counted; beyond it the documents are shuffled.
+BROADCAST_DOCS = 1_000_000
 
 
 def tokens(text: Column) -> Column:
@@ -105,16 +107,16 @@ def overlaps(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS,
     if len(values) <= inline_seeds:
         hits = F.expr(f"filter(w, x -> x.seed in ({','.join(map(str, values))}))")  # parsed as SQL, which is fast for a long list
         found = rows.withColumn("w", let(toks, lambda t: _windows(t, masks))).withColumn("hits", hits).where(F.size("hits") > 0)
-        found = cut(found.select("doc_id", "th", toks.alias("toks"), "hits"))
-        pairs = found.select("doc_id", "th", F.explode("hits").alias("h")).select("doc_id", "th", "h.seed", "h.pos")
+        pairs = cut(found.select("doc_id", "th", "hits")).select("doc_id", "th", F.explode("hits").alias("h")).select("doc_id", "th", "h.seed", "h.pos")
     else:
         spread = rows.select("doc_id", "th", F.explode(let(toks, lambda t: _windows(t, masks))).alias("h"))
         pairs = cut(spread.select("doc_id", "th", "h.seed", "h.pos").join(seeds.select("seed").distinct(), "seed", "left_semi"))
-        where = pairs.select("doc_id", "th").distinct()
-        found = rows.join(where, (rows.th == where.th) & rows.doc_id.eqNullSafe(where.doc_id), "left_semi").select("doc_id", "th", toks.alias("toks"))
-    found = found.dropDuplicates(["doc_id", "th"]).select(F.col("doc_id").alias("d"), F.col("th").alias("h"), "toks")
     lines = pairs.join(seeds.drop("itoks"), "seed").groupBy("doc_id", "th", "item_id", (F.col("pos") - F.col("ipos")).alias("diagonal")).agg(F.count_distinct("pos").alias("hits"), F.min("need").alias("need"))
-    lines = lines.where("hits >= need").drop("hits", "need")
+    lines = cut(lines.where("hits >= need").drop("hits", "need"))
+    where = lines.select("doc_id", "th").distinct()
+    where = F.broadcast(where) if where.limit(BROADCAST_DOCS + 1).count() <= BROADCAST_DOCS else where
+    found = rows.join(where, (rows.th == where.th) & rows.doc_id.eqNullSafe(where.doc_id), "left_semi").select("doc_id", "th", toks.alias("toks"))
+    found = found.dropDuplicates(["doc_id", "th"]).select(F.col("doc_id").alias("d"), F.col("th").alias("h"), "toks")
     texts = seeds.select(F.col("item_id").alias("iid"), "itoks").distinct()
     aligned = lines.join(texts, lines.item_id.eqNullSafe(texts.iid)).join(found, (F.col("th") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")))
     size = F.least(F.size("itoks"), F.lit(stretch))
