@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 from pathlib import Path
 
 import numpy as np
@@ -40,9 +41,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """The same rows without their lineage, in the shared folder."""
-    prepare(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """The same rows without their lineage: written as Parquet in the shared folder and read again.
+
+    Columns of the later plan are pruned in the read, and the sizes of small tables are known to the planner.
+    """
+    spark = df.sparkSession
+    at = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
+    df.write.parquet(at)
+    return spark.read.schema(df.schema).parquet(at)
 
 
 def fold(column: str, parts: int) -> Column:
@@ -70,20 +76,26 @@ def mix64(x: np.ndarray) -> np.ndarray:
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, label) for all ends of ``edges`` (a, b): label is the least node that is reachable.
 
-    Every round takes the least label among the neighbours and then the label of that label, so chains halve.
-    Only one count a round reaches the driver. Hubs are fine: the minimum is combined before the shuffle, and the
-    joins are on a side of unique nodes, which adaptive execution splits when a key is hot.
+    A round points each node at its least neighbour, halves the chains of these pointers, and carries on with the distinct
+    links between what the ends point at. Nodes that are settled leave with their links, so later rounds are small: each
+    halves the nodes at least, and the links of a dense group collapse in the first. Only one flag a round reaches the
+    driver. Hubs are fine: minima are combined before the shuffle, and joins are on a side of unique nodes.
     """
     # one row gives both directions, so that edges of a plan that may vary from run to run are taken from one run
     both = F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"))))
     links = cut(edges.where("a <> b").select(both.alias("e")).select("e.a", "e.b").distinct())
-    labels = cut(links.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("label")))
+    labels = None
     for _ in range(max_rounds):
-        near = links.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("near"))
-        step = labels.join(near, "node").select("node", "label", F.least("label", "near").alias("next"))
-        jump = labels.select(F.col("node").alias("next"), F.col("label").alias("far"))
-        moved = cut(step.join(jump, "next", "left").select("node", F.least("next", F.coalesce("far", "next")).alias("new"), "label"))
-        labels = moved.select("node", F.col("new").alias("label"))
-        if moved.where("new <> label").isEmpty():
+        first = links.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("up"))
+        far = first.select(F.col("node").alias("up"), F.col("up").alias("top"))
+        ups = cut(first.join(far, "up").select("node", F.col("top").alias("label")))
+        if labels is None:
+            labels = ups
+        else:
+            moved = ups.select(F.col("node").alias("label"), F.col("label").alias("new"))
+            labels = cut(labels.join(moved, "label", "left").select("node", F.coalesce("new", "label").alias("label")))
+        to = lambda c: ups.select(F.col("node").alias(c), F.col("label").alias(c * 2))
+        links = cut(links.where("a < b").join(to("a"), "a").join(to("b"), "b").where("aa <> bb").select(F.explode(F.array(F.struct(F.col("aa").alias("a"), F.col("bb").alias("b")), F.struct(F.col("bb").alias("a"), F.col("aa").alias("b")))).alias("e")).select("e.a", "e.b").distinct())
+        if links.isEmpty():
             return labels
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

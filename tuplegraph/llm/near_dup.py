@@ -3,12 +3,15 @@
 A document's set is its distinct five-word shingles (64-bit hashes of A-Z-lower-cased words). Every shingle emits the
 points of one Poisson process; a register holds the least time at which any shingle of the set hits it, on an exponential
 scale. Registers are mergeable by maximum and locality-sensitive. Documents that agree on a band of registers are
-candidates. Inside each connected group of candidates a pair's similarity is first estimated from both sketches jointly, by
-likelihood, and pairs that are not excluded are confirmed on the full sets.
+candidates: the least set of a band's bucket is its hub, and the sets that meet at one hub form a star. Inside a star a
+pair's similarity is first estimated from both sketches jointly, by likelihood, and pairs that are not excluded are
+confirmed on the full sets.
 
-Scale: exact copies collapse before anything else. Only ids travel while candidate groups form; texts of groups with two
-or more different sets travel once. A group above ``block_shingles`` is split into blocks, and each pair of blocks is its
-own task, so no task holds an unbounded group. Each task returns a forest of links, never all pairs.
+Scale: exact copies collapse before anything else, and only texts of sets with a partner travel. Stars are compared one by
+one, so chains of false candidates never join into one large group. A star above ``block_shingles`` is dealt into blocks
+that each hold the hub: sets that a block links with the hub are settled, and only the others meet the rest, block by
+block. So a star of near copies costs one pass, however large, and no task holds an unbounded star. Each task returns a
+forest of links, never all pairs.
 
 Results for odd input: a null or empty text has an empty set and is linked with nothing; below five words the whole
 sequence is one shingle; rows that repeat a doc_id share its node when their sets are equal; a row without doc_id is
@@ -24,7 +27,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import components, cut, mix64, partitions, prepare
@@ -36,9 +39,11 @@ BANDS, ROWS = 40, 3
 M, BASE, RATE, TOP = BANDS * ROWS, 1.001, 20.0, 2**16 - 1
 #: How far above the expected last register the processes are followed; later times count as truncated (register 0).
 SLACK = 14.0
-#: Shingles of a candidate group, or of a block of it, that one task holds.
+#: Shingles of a star, or of a block of it, that one task holds.
 BLOCK_SHINGLES = 800_000
 BLOCK_SETS = 3_000
+#: Ids of candidate texts that are broadcast when they were counted; beyond it texts and ids are shuffled.
+BROADCAST_TEXTS = 1_000_000
 #: A pair is excluded without its sets when the likelihood of SIMILAR falls this far (in nats) below the best one.
 EXCLUDED = 24.0
 #: With fewer equal registers than this share, a similarity of SIMILAR is always that far below; such pairs need no likelihood.
@@ -100,12 +105,10 @@ def registers(sets: list[np.ndarray]) -> np.ndarray:
     return scale.astype(np.uint16).reshape(len(sets), M)
 
 
-def bands(regs: np.ndarray) -> np.ndarray:
-    """One 64-bit key for each band of registers."""
-    with np.errstate(over="ignore"):
-        grouped = regs.astype(np.uint64).reshape(len(regs), BANDS, ROWS)
-        key = (grouped * _ODD[:ROWS]).sum(axis=2, dtype=np.uint64)
-        return mix64(key + (np.arange(1, BANDS + 1, dtype=np.uint64) * _ODD[4])).view(np.int64)
+def bands(regs: str) -> Column:
+    """One 64-bit key for each band of the registers in a binary column."""
+    size = 2 * ROWS
+    return F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda k: F.xxhash64(k, F.substring(F.col(regs), k * size + 1, F.lit(size))))
 
 
 def _gap(x: np.ndarray) -> np.ndarray:
@@ -135,7 +138,7 @@ def not_excluded(above: np.ndarray, below: np.ndarray, same: np.ndarray, n_a: in
 
 
 def sketch(docs: DataFrame) -> DataFrame:
-    """(doc_id, th, n_shingles, digest, regs, keys) for each row: th is a hash of the text, digest of the set."""
+    """(doc_id, th, n_shingles, digest, regs) for each row: th is a hash of the text, digest of the set."""
     prepare(docs.sparkSession)
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
 
@@ -145,7 +148,6 @@ def sketch(docs: DataFrame) -> DataFrame:
                 part = batch.slice(start, SKETCHED)
                 sets = [shingles(t) for t in part.column(2).to_pylist()]
                 regs = registers(sets)
-                keys = bands(regs)
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column(0),
@@ -153,18 +155,18 @@ def sketch(docs: DataFrame) -> DataFrame:
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()),
                         pa.array([r.tobytes() for r in regs], pa.binary()),
-                        pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1) * BANDS, pa.int32()), pa.array(keys.ravel())),
                     ],
-                    ["doc_id", "th", "n_shingles", "digest", "regs", "keys"],
+                    ["doc_id", "th", "n_shingles", "digest", "regs"],
                 )
 
-    return slim.mapInArrow(run, "doc_id long, th long, n_shingles long, digest binary, regs binary, keys array<long>")
+    return slim.mapInArrow(run, "doc_id long, th long, n_shingles long, digest binary, regs binary")
 
 
 def forest_of(sets: list[np.ndarray], regs: np.ndarray, block: np.ndarray, similar: int = SIMILAR) -> list[tuple[int, int]]:
-    """Links that span the similarity graph of these sets; only pairs of different blocks count where there are two."""
+    """Links that span the similarity graph of these sets, from the first set of each tree to its others; only pairs of
+    different blocks count where there are two."""
     n = len(sets)
-    tree, links = np.arange(n), []  # the tree that each set is in so far
+    tree = np.arange(n)  # the tree that each set is in so far
     sizes = np.array([len(s) for s in sets])
     crossing = len(set(block.tolist())) > 1
     flat = np.concatenate(sets)
@@ -198,12 +200,12 @@ def forest_of(sets: list[np.ndarray], regs: np.ndarray, block: np.ndarray, simil
         for j in rest[100 * both >= similar * (sizes[i] + sizes[rest] - both)].tolist():
             if tree[i] != tree[j]:
                 tree[tree == tree[j]] = tree[i]
-                links.append((i, j))
-    return links
+    _, first, back = np.unique(tree, return_index=True, return_inverse=True)
+    return [(int(first[k]), j) for j, k in enumerate(back.tolist()) if first[k] != j]
 
 
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come sorted by task (grp, x, y); one task is held at a time."""
+    """Rows come sorted by task (hub, x, y), then digest; one task is held at a time."""
     state: dict = {"key": None, "rows": {}}
 
     def close() -> pa.RecordBatch | None:
@@ -214,14 +216,14 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         links = forest_of([r[1][0] for r in rows], np.stack([r[1][1] for r in rows]), np.array([r[1][2] for r in rows]))
         if not links:
             return None
-        return pa.RecordBatch.from_arrays([pa.array([rows[i][0] for i, _ in links], pa.binary()), pa.array([rows[j][0] for _, j in links], pa.binary())], ["a", "b"])
+        return pa.RecordBatch.from_arrays([pa.array([state["key"][0]] * len(links), pa.binary()), pa.array([rows[i][0] for i, _ in links], pa.binary()), pa.array([rows[j][0] for _, j in links], pa.binary())], ["hub", "a", "b"])
 
     for batch in batches:
-        for grp, x, y, digest, regs, block, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-            if (grp, x, y) != state["key"]:
+        for hub, x, y, digest, regs, block, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if (hub, x, y) != state["key"]:
                 if (out := close()) is not None:
                     yield out
-                state["key"] = (grp, x, y)
+                state["key"] = (hub, x, y)
             if digest not in state["rows"]:
                 own = shingles(text)
                 if xxhash.xxh3_128_digest(own.tobytes()) == digest:
@@ -230,32 +232,59 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield out
 
 
+def _confirmed(tasks: DataFrame) -> DataFrame:
+    tasks = tasks.select("hub", "x", "y", "digest", "regs", "block", "text")
+    return tasks.repartition(partitions(tasks.sparkSession), "hub", "x", "y").sortWithinPartitions("hub", "x", "y", "digest").mapInArrow(_confirm, "hub binary, a binary, b binary")
+
+
+def _with_texts(members: DataFrame, docs: DataFrame) -> DataFrame:
+    """``members`` (with rid, rth) and the text of each."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text").where(F.length(F.trim("text")) > 0)
+    wanted = members.select(F.col("rth").alias("w")).distinct()
+    if wanted.limit(BROADCAST_TEXTS + 1).count() <= BROADCAST_TEXTS:
+        texts = texts.join(F.broadcast(wanted), F.col("th") == F.col("w"), "left_semi")
+    return members.join(texts, (F.col("rth") == F.col("th")) & F.col("rid").eqNullSafe(F.col("doc_id"))).drop("rid", "rth", "th", "doc_id")
+
+
+def _links(classes: DataFrame, docs: DataFrame, block_shingles: int, block_sets: int) -> DataFrame:
+    """Confirmed links (a, b) that span the similarity graph of the classes' sets."""
+    keyed = classes.select(F.explode(bands("regs")).alias("key"), "digest")
+    shared = keyed.groupBy("key").agg(F.min("digest").alias("hub"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
+    near = keyed.join(shared, "key").groupBy("digest").agg(F.collect_set("hub").alias("hubs"))  # BANDS at most
+    members = cut(near.join(classes.select("digest", F.col("r.doc_id").alias("rid"), F.col("r.th").alias("rth"), "n", "regs"), "digest"))
+    stars = members.select(F.explode("hubs").alias("hub"), "n").groupBy("hub").agg(F.sum("n").alias("s"), F.count(F.lit(1)).alias("c"))
+    many = F.greatest(F.ceil(F.col("s") / block_shingles), F.ceil(F.col("c") / block_sets)).cast("int")
+    large = cut(stars.withColumn("k", many).where("k > 1").select("hub", "k"))
+    spread = _with_texts(members, docs).select(F.explode("hubs").alias("hub"), "digest", "regs", "n", "text")
+    spread = spread.join(large, "hub", "left").withColumn("k", F.coalesce("k", F.lit(1)))
+    # the hub goes to every block of its star
+    place = F.explode(F.when(F.col("digest") == F.col("hub"), F.sequence(F.lit(0), F.col("k") - 1)).otherwise(F.array(F.pmod(F.xxhash64("digest"), F.col("k")).cast("int"))))
+    found = cut(_confirmed(spread.withColumn("x", place).withColumn("y", F.col("x")).withColumn("block", F.lit(0))))
+    if large.isEmpty():
+        return found.select("a", "b")
+    # in stars of several blocks, sets that are not linked with the hub meet all others
+    settled = found.where("a = hub").select("hub", F.col("b").alias("digest"), F.lit(True).alias("settled"))
+    rest = members.select(F.explode("hubs").alias("hub"), "digest", "regs", "n", "rid", "rth").join(large.select("hub"), "hub").join(settled, ["hub", "digest"], "left")
+    rest = rest.withColumn("open", F.col("settled").isNull() & (F.col("digest") != F.col("hub"))).drop("settled")
+    parts = lambda yes: F.greatest(F.ceil(F.sum(F.when(yes, F.col("n"))) / block_shingles), F.ceil(F.sum(yes.cast("int")) / block_sets), F.lit(0)).cast("int")
+    deal = rest.groupBy("hub").agg(parts(F.col("open")).alias("f"), parts(~F.col("open")).alias("t")).where("f > 0")
+    dealt = rest.join(deal, "hub").withColumn("block", F.when(F.col("open"), F.pmod(F.xxhash64("digest"), F.col("f"))).otherwise(F.col("f") + F.pmod(F.xxhash64("digest"), F.greatest("t", F.lit(1)))).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.when(F.col("open"), F.col("f") + F.col("t")).otherwise(F.col("f")) - 1)))
+    tasks = _with_texts(dealt.withColumn("x", F.least("block", "other")).withColumn("y", F.greatest("block", "other")), docs)
+    return found.select("a", "b").union(cut(_confirmed(tasks)).select("a", "b"))
+
+
 def link(docs: DataFrame, block_shingles: int = BLOCK_SHINGLES, block_sets: int = BLOCK_SETS) -> DataFrame:
     """One row for each document: doc_id, n_shingles, component_id, kept, and th and class_id for joining back."""
-    spark = prepare(docs.sparkSession)
     rows = cut(sketch(docs))
-    classes = cut(rows.where("n_shingles > 0").groupBy("digest").agg(F.min_by(F.struct("doc_id", "th"), F.struct(F.col("doc_id").isNull(), "doc_id", "th")).alias("r"), F.first("n_shingles").alias("n"), F.first("regs").alias("regs"), F.first("keys").alias("keys"), F.count(F.lit(1)).alias("copies")))
-    keyed = classes.select(F.explode("keys").alias("key"), "digest")
-    hubs = keyed.groupBy("key").agg(F.min("digest").alias("hub"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
-    near = keyed.join(hubs, "key").where("digest <> hub").select(F.col("digest").alias("a"), F.col("hub").alias("b")).distinct()
-    groups = components(near).withColumnRenamed("node", "digest").withColumnRenamed("label", "grp")
-
-    # a group's texts go to one task, or to one task for each pair of its blocks
-    members = cut(groups.join(classes.select("digest", "r", "n", "regs"), "digest"))
-    size = members.groupBy("grp").agg(F.sum("n").alias("s"), F.count(F.lit(1)).alias("c"))
-    blocks = size.select("grp", F.greatest(F.ceil(F.col("s") / block_shingles), F.ceil(F.col("c") / block_sets), F.lit(1)).cast("int").alias("k"))
-    dealt = members.join(blocks, "grp").withColumn("block", F.pmod(F.xxhash64("digest"), F.col("k")).cast("int"))
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text").where(F.length(F.trim("text")) > 0)
-    dealt = dealt.select("grp", "digest", "regs", "k", "block", F.col("r.doc_id").alias("rid"), F.col("r.th").alias("rth"))
-    with_text = dealt.join(texts, (F.col("rth") == F.col("th")) & F.col("rid").eqNullSafe(F.col("doc_id"))).drop("rid", "rth", "th", "doc_id")
-    spread = with_text.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    tasks = spread.select("grp", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"), "digest", "regs", "block", "text")
-    tasks = tasks.repartition(partitions(spark), "grp", "x", "y").sortWithinPartitions("grp", "x", "y", "digest")
-    links = tasks.mapInArrow(_confirm, "a binary, b binary")
-    joined = components(links).withColumnRenamed("node", "digest").withColumnRenamed("label", "root")
-
-    final = classes.select("digest", F.col("r.doc_id").alias("rep")).join(joined, "digest", "left").withColumn("root", F.coalesce("root", "digest"))
-    final = final.join(final.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("digest", "root", "component_id")
+    first = F.min_by(F.struct("doc_id", "th"), F.struct(F.col("doc_id").isNull(), "doc_id", "th"))
+    classes = cut(rows.where("n_shingles > 0").groupBy("digest").agg(first.alias("r"), F.first("n_shingles").alias("n"), F.first("regs").alias("regs")))
+    joined = components(_links(classes, docs, block_shingles, block_sets)).withColumnRenamed("node", "digest").withColumnRenamed("label", "root")
+
+    reps = classes.select("digest", F.col("r.doc_id").alias("rep"))
+    named = joined.join(reps, "digest")
+    named = named.join(named.groupBy("root").agg(F.min("rep").alias("least")), "root").select("digest", "root", "least")
+    final = reps.join(named, "digest", "left").select("digest", F.coalesce("root", "digest").alias("root"), F.when(F.col("root").isNull(), F.col("rep")).otherwise(F.col("least")).alias("component_id"))
     out = rows.select("doc_id", "th", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("digest")).alias("digest")).join(final, "digest", "left")
     named = F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", named.alias("component_id"), F.coalesce(F.col("doc_id") == named, named.isNull()).alias("kept"), "th", F.hex("root").alias("class_id"))
