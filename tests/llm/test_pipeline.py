@@ -32,3 +32,17 @@ def test_empty_table(spark):
 
 def test_run(spark):
     assert cp.run(spark, SF).count() > 100
+
+
+def test_callers_columns_of_any_name(spark):
+    text = " ".join(f"w{k}" for k in range(50))
+    names = ["score", "predicted", "n_hits", "digit", "base", "more", "spans", "_id", "id", "th", "carried", "x", "hub", "class_id", "bad_id"]
+    rows = [(900_000 + k, f"{text} a.b@example.com {k} " + "y " * k * 40, *[f"{n}-{k}" for n in names]) for k in range(4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, " + ", ".join(f"{n} string" for n in names))
+    done = docs
+    for _, stage in cp.STAGES[:-1]:
+        done = stage(spark, done, SF)
+        assert done.columns == docs.columns
+    got = [r.asDict() for r in done.collect()]
+    assert got and all(r[n] == f"{n}-{r['doc_id'] - 900_000}" for r in got for n in names)
+    assert all("<EMAIL>" in r["text"] for r in got)

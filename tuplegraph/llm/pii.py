@@ -39,7 +39,7 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 LOOSE = {
-    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?[\[(]at[\])]\x20?[A-Za-z0-9-]{1,64}(?:\x20?(?:[\[(]dot[\])]|\.)\x20?[A-Za-z0-9-]{1,64}){1,4}",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++\x20?[\[(]at[\])]\x20?[A-Za-z0-9-]++(?:\x20?(?:[\[(]dot[\])]|\.)\x20?[A-Za-z0-9-]++)++",
     "card": PATTERNS["card"],
     "phone": r"(?<![0-9+])\(?[0-9]{3}\)?[\x20.-][0-9]{3}[\x20.-][0-9]{4}(?![0-9])",
     "secret": r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{16,}+=*",
@@ -207,14 +207,18 @@ def find(docs: DataFrame, threshold: float = 0.5, keep_text: bool = True) -> Dat
     ``spans`` holds the base spans and those added, by kind, then start. Without the text, the candidates of the first
     pass are kept for the second; with it they are found again, which is cheaper than to store all texts.
     """
-    found = candidates(docs.drop("base", "more", "spans"))
+    order = [c for c in docs.columns if c not in ("base", "spans")]
+    others = [c for c in order if c != "text"]
+    # the caller's columns travel apart, so that no name of theirs meets one that is used here
+    found = candidates(docs.select("text", *([F.struct(*others).alias("carried")] if others else [])))
     found = found if keep_text else cut(found.drop("text"))
     rows = found.select(F.explode("more.code").alias("code")).groupBy("code").count().collect()  # bounded by the number of vote patterns
     counts = {r["code"]: r["count"] for r in rows}
     scores = classifier(counts, estimate(counts)) if counts else {}
     accepted = sorted(c for c, s in scores.items() if s >= threshold)
     added = F.transform(F.filter("more", lambda x: x["code"].isin(accepted or ["-"])), lambda x: F.struct(x["k"].alias("k"), x["s"].alias("s"), x["e"].alias("e")))
-    return found.withColumn("spans", F.array_sort(F.concat("base", added))).withColumn("base", F.array_sort("base")).drop("more")
+    back = [F.col("text") if c == "text" else F.col("carried").getField(c).alias(c) for c in order if keep_text or c != "text"]
+    return found.select(*back, F.array_sort("base").alias("base"), F.array_sort(F.concat("base", added)).alias("spans"))
 
 
 def listed(spans: str) -> Column:

@@ -6,7 +6,8 @@ whole word or a stem that starts a word, and a match inside an exception phrase
 weight of its matches, also per word of its text; a logistic map turns both into a score.
 
 The seed lexicon has prior weights. Labelled documents add the words and stems that mark toxic texts, in any language,
-and set weights by smoothed log-odds; near copies among them count once. At most ``sample`` labelled documents are used,
+and set weights by smoothed log-odds; copies among them (texts of one least
+shingle hash) share the weight of one. At most ``sample`` labelled documents are used,
 the first by a hash of their id, and at most ``lexicon`` entries are kept, so what reaches the driver is bounded.
 Everything else covers all documents.
 
@@ -27,7 +28,7 @@ from functools import lru_cache
 import ahocorasick
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -47,6 +48,8 @@ HIDDEN = "­​‌‍⁠﻿"
 SAMPLE, LEXICON, LEAST, SHARE = 10_000, 512, 5, 0.02
 #: Entries that a task counts before it hands them on.
 COUNTED = 150_000
+#: Characters that count as a word at least, for scripts that write no spaces.
+UNSPACED = 12
 #: Lengths of stems.
 STEMS = range(3, 11)
 #: Prior of the logistic map: (bias, weight of log evidence, weight of log evidence per hundred words).
@@ -103,7 +106,7 @@ def evidence(text: str | None, lexicon: tuple, exceptions: tuple) -> tuple[float
             elif weight > hits.get(start, (0, 0.0))[1]:
                 hits[start] = (end, weight)
     kept = [w for s, (e, w) in hits.items() if not any(a <= s and e <= b for a, b in safe)]
-    return sum(kept), len(kept), text.count(" ") + text.count("\n") + 1
+    return sum(kept), len(kept), max(len(text.split()), n // UNSPACED, 1)
 
 
 def _slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
@@ -117,19 +120,20 @@ def _features(weight, words):
     return np.stack([np.ones_like(weight), np.log1p(weight), np.log1p(100 * weight / np.maximum(np.asarray(words, float), 1))], axis=-1)
 
 
-def calibrate(weight, words, label, rounds: int = 25) -> tuple[float, ...]:
-    """Logistic map by Newton steps, drawn to the prior."""
+def calibrate(weight, words, label, share=None, rounds: int = 25) -> tuple[float, ...]:
+    """Logistic map by Newton steps, drawn to the prior; ``share`` weighs the texts."""
     prior = np.array(PRIOR)
     x, y, w = _features(weight, words), np.asarray(label, float), prior.copy()
+    many = np.ones(len(y)) if share is None else np.asarray(share, float)
 
     def loss(w):
         z = np.clip(x @ w, -500, 500)
-        return np.logaddexp(0, z).sum() - y @ z + ((w - prior) ** 2).sum() / 2
+        return many @ np.logaddexp(0, z) - (many * y) @ z + ((w - prior) ** 2).sum() / 2
 
     for _ in range(rounds if len(y) else 0):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        slope = x.T @ (y - p) - (w - prior)
-        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + np.eye(3), slope)
+        slope = x.T @ (many * (y - p)) - (w - prior)
+        step = np.linalg.solve((x * (many * p * (1 - p))[:, None]).T @ x + np.eye(3), slope)
         while loss(w + step) > loss(w) and np.abs(step).max() > 1e-9:
             step = step / 2
         w = w + step
@@ -143,7 +147,7 @@ def _entries(text: str | None) -> set[str]:
 
 
 def _marking_words(rows: DataFrame, seeds: dict[str, float], size: int, least: int) -> dict[str, float]:
-    """Weights of seed words and of words and stems that mark toxic texts among ``rows`` (toxic, text).
+    """Weights of seed words and of words and stems that mark toxic texts among ``rows`` (toxic, text, share).
 
     An entry marks when at least SHARE of the toxic texts hold it, far more often than clean ones do. Of entries that
     start alike only the best is kept; a stem that is nearly always one word becomes that word.
@@ -151,25 +155,24 @@ def _marking_words(rows: DataFrame, seeds: dict[str, float], size: int, least: i
 
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by = {0: Counter(), 1: Counter()}
-        total = [0, 0]
 
         def flush():
-            words = list(by[0].keys() | by[1].keys())
-            columns = [pa.array([*words, ""]), pa.array([*(by[1][w] for w in words), total[1]], pa.int64()), pa.array([*(by[0][w] for w in words), total[0]], pa.int64())]
+            words = sorted(by[0].keys() | by[1].keys())
+            columns = [pa.array(words), pa.array([by[1][w] for w in words], pa.float64()), pa.array([by[0][w] for w in words], pa.float64())]
             by[0].clear()
             by[1].clear()
-            total[:] = [0, 0]
             return pa.RecordBatch.from_arrays(columns, ["word", "t", "c"])
 
         for batch in _slices(batches):
-            for toxic, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                by[toxic].update(_entries(text))
-                total[toxic] += 1
+            for toxic, text, share in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                own = by[toxic]
+                for entry in (*_entries(text), ""):  # the empty entry counts the texts
+                    own[entry] += share
                 if len(by[0]) + len(by[1]) > COUNTED:
                     yield flush()
         yield flush()
 
-    counts = cut(rows.mapInArrow(counted, "word string, t long, c long").groupBy("word").agg(F.sum("t").alias("t"), F.sum("c").alias("c")).where(f"t >= {least} or word = '' or word in ({', '.join(repr(w + '$') for w in seeds)})"))
+    counts = cut(rows.mapInArrow(counted, "word string, t double, c double").groupBy("word").agg(F.round(F.sum("t"), 6).alias("t"), F.round(F.sum("c"), 6).alias("c")).where(f"t >= {least} or word = '' or word in ({', '.join(repr(w + '$') for w in seeds)})"))
     whole = counts.where("word = ''").collect()
     n_t, n_c = (whole[0]["t"], whole[0]["c"]) if whole else (0, 0)
     gain = F.log((F.col("t") + 0.5) / (n_t + 1.0)) - F.log((F.col("c") + 0.5) / (n_c + 1.0))
@@ -204,7 +207,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, size: int =
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(one_shingle(batch.column(1)), pa.int64())], ["toxic", "text", "key"])
 
     rows = docs.select("doc_id", "text").join(F.broadcast(marked), "doc_id").select(F.col("toxic").cast("int").alias("toxic"), "text")
-    rows = rows.mapInArrow(keyed, "toxic int, text string, key long").dropDuplicates(["key", "toxic"]).select("toxic", "text")
+    keys = rows.mapInArrow(keyed, "toxic int, text string, key long")
+    # copies share the weight of one text, so that a text that is often copied does not make the lexicon
+    rows = cut(keys.withColumn("share", 1.0 / F.count(F.lit(1)).over(Window.partitionBy("key", "toxic"))).select("toxic", "text", "share"))
 
     seeds = {folded(w): v for w, v in SEEDS.items()}
     lexicon: dict[str, float] = dict(seeds)
@@ -215,11 +220,11 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, size: int =
     def weighed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in _slices(batches):
             got = [evidence(t, lexicon, exceptions) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.float64()), pa.array([g[2] for g in got], pa.int64())], ["toxic", "weight", "words"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.float64()), pa.array([g[2] for g in got], pa.int64()), batch.column(2)], ["toxic", "weight", "words", "share"])
 
-    fit = rows.mapInArrow(weighed, "toxic int, weight double, words long").collect()  # at most ``sample`` rows
-    fit.sort()
-    return lexicon, calibrate([r["weight"] for r in fit], [r["words"] for r in fit], [r["toxic"] for r in fit])
+    fit = rows.mapInArrow(weighed, "toxic int, weight double, words long, share double")
+    fit = fit.groupBy("toxic", "weight", "words").agg(F.round(F.sum("share"), 6).alias("share")).orderBy("toxic", "weight", "words").collect()  # numbers of the sampled texts
+    return lexicon, calibrate([r["weight"] for r in fit], [r["words"] for r in fit], [r["toxic"] for r in fit], [r["share"] for r in fit])
 
 
 def score(docs: DataFrame, lexicon: tuple, weights: tuple, exceptions: tuple = EXCEPTIONS) -> DataFrame:
