@@ -5,7 +5,7 @@ Parquet in the shared folder and reads them again for the next. All but the last
 SQL cannot express the learned stages, so ``ORACLE_SQL`` is None and the tests hold ``run`` against brute force.
 
 Odd input: see the operators. A row without doc_id passes the stages like any other; repeated rows are near duplicates of
-each other, so one of them stays; an empty table stays empty; extra columns are kept by every stage but the last.
+each other, so one of them stays; an empty table stays empty; extra columns of any name are kept by every stage but the last.
 """
 
 from __future__ import annotations
@@ -20,11 +20,20 @@ from tuplegraph.llm.common import shared_dir, table
 from tuplegraph.llm.queries import tokenizer_path
 
 
+def _packed(docs: DataFrame) -> DataFrame:
+    """doc_id, text and, as one struct, all other columns, whose names so never meet those of a stage."""
+    others = [F.col(c) for c in docs.columns if c not in ("doc_id", "text")]
+    return docs.select("doc_id", "text", *([F.struct(*others).alias("carried")] if others else []))
+
+
+def _unpacked(docs: DataFrame, columns: list[str]) -> DataFrame:
+    return docs.select(*[F.col(c) if c in ("doc_id", "text") else F.col("carried").getField(c).alias(c) for c in columns])
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity score is below one half. The lexicon is learned outside the held-out fold."""
-    lexicon, weights = toxicity.held_out_model(docs, table(spark, sf_dir, "labels"))
-    columns = docs.columns
-    return toxicity.score(docs, lexicon, weights).where("predicted = 0").select(*columns)
+    lexicon, weights = toxicity.held_out_model(docs.select("doc_id", "text"), table(spark, sf_dir, "labels"))
+    return _unpacked(toxicity.score(_packed(docs), lexicon, weights).where("predicted = 0"), docs.columns)
 
 
 #: Stands for a missing id in joins.
@@ -34,25 +43,23 @@ NO_ID = -(2**63)
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates, the one with the least doc_id; documents without words all stay, and
     rows that are equal in id and text count as one."""
-    kept = near_dup.link(docs).where("kept").select(F.coalesce("doc_id", F.lit(NO_ID)).alias("_id"), F.col("th").alias("_th"), "class_id")
-    grouped = kept.where("class_id is not null").groupBy("class_id").agg(F.min(F.struct("_id", "_th")).alias("k")).select("k._id", "k._th")
-    chosen = grouped.union(kept.where("class_id is null").select("_id", "_th").distinct())
-    columns = docs.columns
-    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("_th", F.xxhash64("text"))
+    kept = near_dup.link(docs.select("doc_id", "text")).where("kept").select(F.coalesce("doc_id", F.lit(NO_ID)).alias("id"), "th", "class_id")
+    grouped = kept.where("class_id is not null").groupBy("class_id").agg(F.min(F.struct("id", "th")).alias("k")).select("k.id", "k.th")
+    chosen = grouped.union(kept.where("class_id is null").select("id", "th").distinct())
+    keyed = _packed(docs).withColumn("id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))).withColumn("th", F.xxhash64("text"))
     # rows that are equal in id and text are chosen together; the join has dealt them alike, so one is kept without a shuffle
-    return keyed.join(chosen, ["_id", "_th"], "left_semi").dropDuplicates(["_id", "_th"]).select(*columns)
+    return _unpacked(keyed.join(chosen, ["id", "th"], "left_semi").dropDuplicates(["id", "th"]), docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that overlap with no benchmark item."""
-    return decontam.clean(docs, table(spark, sf_dir, "benchmark"))
+    return _unpacked(decontam.clean(_packed(docs), table(spark, sf_dir, "benchmark")), docs.columns)
 
 
 def redact_personal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with personal data replaced by the name of its kind; ``n_chars`` follows the new text."""
-    columns = docs.columns
-    done = pii.redact(pii.find(docs))
-    return (done.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in columns else done).select(*columns)
+    done = _unpacked(pii.redact(pii.find(_packed(docs))), docs.columns)
+    return done.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else done
 
 
 def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
