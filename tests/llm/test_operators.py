@@ -297,9 +297,45 @@ def test_language_model_keeps_trigrams_seen_once(spark):
     assert whole > cut + 0.1  # c follows a b, though only once
     for high in (7, 2**33):
         uri = tempfile.mkdtemp()
-        columns = [np.array([0, 1]), np.array([5, 6]), np.array([1, high])]
-        ngram.put_third(uri, 0, *columns)
-        assert ngram.third_of(uri, 0).tolist() == [c.tolist() for c in columns]
+        columns = [np.array([0, 1, 1]), np.array([9, 6, 300]), np.array([1, high, high])]
+        ngram.put_columns(uri, "c", *columns)
+        assert [c.tolist() for c in ngram.columns_of(uri, "c")] == [c.tolist() for c in columns]
+        ngram.remove(uri, "c")
+        assert not ngram.exists(uri, "c")
+
+
+def test_language_model_against_brute_force(spark, docs):
+    """The score is the interpolated model's, but for the rounding of stored values."""
+    table = docs.select("doc_id", "text").where("doc_id is not null")
+    model = ngram.train(table, shards=3)
+    begin, texts = "^", {d: [*(w.decode() for w in (t or "").encode().lower().split()), "$"] for d, t in ODD if d is not None}
+    rows = [[*(w.decode() for w in (t or "").encode().lower().split()), "$"] for d, t in ODD if d is not None]
+    one, two, three = Counter(w for r in rows for w in r), Counter(), Counter()
+    for r in rows:
+        two.update(zip([begin, *r], r))
+        three.update(zip([begin, *r], r, r[1:]))
+    twos, threes = Counter(), Counter()
+    for (u, _), n in two.items():
+        twos[u, 0] += n
+        twos[u, 1] += 1
+    for (u, v, _), n in three.items():
+        threes[u, v, 0] += n
+        threes[u, v, 1] += 1
+    off = lambda c: (lambda a, b: a / (a + 2 * b) if a and b else 0.5)(sum(n == 1 for n in c.values()), sum(n == 2 for n in c.values()))
+    d1, d2, d3 = off(one), off(two), off(three)
+    total = sum(one.values())
+    p1 = lambda w: (one[w] - d1) / total
+    p2 = lambda u, w: max(two[u, w] - d2, 0) / twos[u, 0] + d2 * twos[u, 1] / twos[u, 0] * p1(w)
+
+    def p3(u, v, w):
+        if not threes[u, v, 0]:
+            return p2(v, w)
+        return max(three[u, v, w] - d3, 0) / two[u, v] + (1 - (threes[u, v, 0] - d3 * threes[u, v, 1]) / two[u, v]) * p2(v, w)
+
+    for r in ngram.score(table, model).collect():
+        t = texts[r.doc_id]
+        want = sum(math.log10(p2(begin, w) if not k else p3(t[k - 2] if k > 1 else begin, t[k - 1], w)) for k, w in enumerate(t))
+        assert r.score == pytest.approx(want, abs=0.05 * len(t)), r.doc_id
 
 
 def test_toxicity(spark, docs, labels, empty):

@@ -25,6 +25,7 @@ all probabilities are 1; repeated rows count as often as they occur; extra colum
 
 from __future__ import annotations
 
+import gc
 import math
 import os
 import tempfile
@@ -33,12 +34,13 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import pyarrow.fs as pafs
 import xxhash
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import fold, partitions, prepare, shared_dir
@@ -69,30 +71,46 @@ def opened(uri: str, name: str, kind) -> np.ndarray:
     system, path = _system(uri)
     path = f"{path}/{name}"
     if isinstance(system, pafs.LocalFileSystem):
-        return np.memmap(path, kind, "r") if os.path.getsize(path) else np.empty(0, kind)
+        return np.asarray(np.memmap(path, kind, "r")) if os.path.getsize(path) else np.empty(0, kind)
     with system.open_input_stream(path) as source, tempfile.TemporaryFile() as copy:
         while block := source.read(1 << 24):
             copy.write(block)
         copy.flush()
-        return np.memmap(copy, kind, "r") if copy.tell() else np.empty(0, kind)
+        return np.asarray(np.memmap(copy, kind, "r")) if copy.tell() else np.empty(0, kind)
 
 
-def counted_pairs(uri: str, s: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of a shard and their counts, of four bytes each where they fit."""
-    pair, raw = opened(uri, f"x{s}.pair", np.uint64), opened(uri, f"x{s}.count", np.uint8)
-    return pair, raw.view(np.uint32 if len(raw) == 4 * len(pair) else np.int64)
+def put_columns(uri: str, name: str, *columns: np.ndarray) -> None:
+    """Columns of whole numbers of one length, compressed; a column that does not fall is stored as its steps."""
+    parts = [np.array([len(columns[0])], np.int64).tobytes()]
+    for c in columns:
+        c = c.astype(np.int64)
+        rising = bool(len(c) and (c[1:] >= c[:-1]).all())
+        steps = np.diff(c, prepend=0) if rising else c
+        kind = next(k for k in (np.uint8, np.uint16, np.uint32, np.int64) if k is np.int64 or (int(steps.max(initial=0)) <= np.iinfo(k).max and int(steps.min(initial=0)) >= 0))
+        parts += [bytes([rising, np.dtype(kind).itemsize]), steps.astype(kind).tobytes()]
+    put(uri, name, np.frombuffer(zstandard.ZstdCompressor(level=1).compress(b"".join(parts)), np.uint8))
 
 
-def put_third(uri: str, s: int, *columns: np.ndarray) -> None:
-    """Pair, word and count of a shard's trigrams, of four bytes each where they fit; the last byte tells the width."""
-    width = 4 if all(int(c.max(initial=0)) < 2**32 for c in columns) else 8
-    rows = np.stack(columns).astype(np.uint32 if width == 4 else np.int64)
-    put(uri, f"x{s}.third", np.append(rows.reshape(-1).view(np.uint8), np.uint8(width)))
+def columns_of(uri: str, name: str) -> list[np.ndarray]:
+    raw = zstandard.ZstdDecompressor().decompress(opened(uri, name, np.uint8).tobytes())
+    n, at, out = int(np.frombuffer(raw, np.int64, 1)[0]), 8, []
+    while at < len(raw):
+        rising, size = raw[at], raw[at + 1]
+        c = np.frombuffer(raw, {1: np.uint8, 2: np.uint16, 4: np.uint32, 8: np.int64}[size], n, at + 2).astype(np.int64)
+        out.append(np.cumsum(c) if rising else c)
+        at += 2 + n * size
+    return out
 
 
-def third_of(uri: str, s: int) -> np.ndarray:
-    raw = opened(uri, f"x{s}.third", np.uint8)
-    return raw[:-1].view(np.uint32 if raw[-1] == 4 else np.int64).reshape(3, -1).astype(np.int64)
+def remove(uri: str, name: str) -> None:
+    system, path = _system(uri)
+    if exists(uri, name):
+        system.delete_file(f"{path}/{name}")
+
+
+def exists(uri: str, name: str) -> bool:
+    system, path = _system(uri)
+    return system.get_file_info(f"{path}/{name}").type == pafs.FileType.File
 
 
 # ---- Elias-Fano ----
@@ -242,13 +260,27 @@ def tokens(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return hashes, out, np.repeat(np.arange(len(texts)), counts)
 
 
+def _steps(keys: np.ndarray) -> np.ndarray:
+    """Sorted keys as their differences, which compress well."""
+    return np.diff(keys, prepend=keys.dtype.type(0))
+
+
+def _distinct(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct values and each value's place among them."""
+    code, kinds = pd.factorize(values)
+    order = np.argsort(kinds)
+    place = np.empty(len(kinds), np.int64)
+    place[order] = np.arange(len(kinds))
+    return kinds[order], place[code]
+
+
 def _pack(*arrays: np.ndarray) -> bytes:
     return zstandard.ZstdCompressor(level=1).compress(b"".join(np.ascontiguousarray(a).tobytes() for a in arrays))
 
 
 def _summed(keys: list[np.ndarray], counts: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
     """Sorted distinct rows of keys (the first is the most significant) and their summed counts."""
-    order = np.lexsort(keys[::-1])
+    order = np.argsort(keys[0], kind="stable") if len(keys) == 1 else np.lexsort(keys[::-1])
     keys, counts = [k[order] for k in keys], counts[order]
     new = np.ones(len(counts), bool)
     if len(counts):
@@ -257,6 +289,22 @@ def _summed(keys: list[np.ndarray], counts: np.ndarray) -> tuple[list[np.ndarray
     return [k[starts] for k in keys], np.add.reduceat(counts, starts) if len(starts) else counts
 
 
+def _counted(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of sorted keys and how often each occurs."""
+    starts = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+    return keys[starts], np.diff(np.append(starts, len(keys)))
+
+
+def _steps_back(steps: np.ndarray) -> np.ndarray:
+    return np.cumsum(steps, dtype=steps.dtype)
+
+
+def release(spark: SparkSession) -> None:
+    """Lets the driver find shuffles that nothing refers to any more, so that their files go before the next stage writes."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 # ---- model ----
 
 
@@ -282,18 +330,26 @@ class Model:
     def numbers(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(number in the vocabulary or -1, count) of each word hash."""
         number, count = np.full(len(hashes), -1, np.int64), np.zeros(len(hashes), np.int64)
-        part = vocabulary_shard(hashes, self.shards)
-        for s in np.unique(part).tolist():
-            own = np.flatnonzero(part == s)
-            known = self._file(f"v{s}.hash", np.uint64)
+        order = np.argsort(hashes)
+        ordered = hashes[order]
+        edges = np.searchsorted(vocabulary_shard(ordered, self.shards), np.arange(self.shards + 1))
+        for s in np.flatnonzero(np.diff(edges)).tolist():
+            known, own = self._file(f"v{s}.hash", np.uint64), slice(edges[s], edges[s + 1])
             if not len(known):
                 continue
-            at = np.minimum(np.searchsorted(known, hashes[own]), len(known) - 1)
-            hit = known[at] == hashes[own]
-            number[own[hit]] = at[hit] + self.offsets[s]
-            count[own[hit]] = self._file(f"v{s}.count", np.int64)[at[hit]]
+            at = np.minimum(np.searchsorted(known, ordered[own]), len(known) - 1)
+            hit = np.flatnonzero(known[at] == ordered[own])
+            number[order[own][hit]] = at[hit] + self.offsets[s]
+            count[order[own][hit]] = self._file(f"v{s}.count", np.int64)[at[hit]]
         return number, count
 
+    def _by_shard(self, part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """Each shard that occurs and the places of its members, in their order."""
+        order = np.argsort(part.astype(np.uint16) if self.shards < 1 << 16 else part, kind="stable")
+        edges = np.searchsorted(part[order], np.arange(self.shards + 1))
+        for s in np.flatnonzero(np.diff(edges)).tolist():
+            yield s, order[edges[s] : edges[s + 1]]
+
     def pair_keys(self, u: np.ndarray, v: np.ndarray) -> np.ndarray:
         return (u // self.shards).astype(np.uint64) * np.uint64(self.size + 2) + v.astype(np.uint64)
 
@@ -302,10 +358,7 @@ class Model:
         part, key = u % self.shards, self.pair_keys(u, v)
         place, found = np.zeros(len(u), np.int64), np.zeros(len(u), bool)
         # pairs that come sorted by (u, v) stay so within a shard; others are sorted there
-        order = np.argsort(part.astype(np.uint16) if self.shards < 1 << 16 else part, kind="stable")
-        edges = np.searchsorted(part[order], np.arange(self.shards + 1))
-        for s in np.flatnonzero(np.diff(edges)).tolist():
-            own = order[edges[s] : edges[s + 1]]
+        for s, own in self._by_shard(part):
             if len(own) > 1 and (key[own[1:]] < key[own[:-1]]).any():
                 own = own[np.argsort(key[own])]
             place[own], found[own] = self._trie(f"p{s}").locate(key[own])
@@ -313,11 +366,8 @@ class Model:
 
     def gather(self, name: str, kind, part: np.ndarray, place: np.ndarray) -> np.ndarray:
         out = np.zeros(len(part), kind)
-        order = np.argsort(part.astype(np.uint16) if self.shards < 1 << 16 else part, kind="stable")
-        edges = np.searchsorted(part[order], np.arange(self.shards + 1))
-        for s in np.flatnonzero(np.diff(edges)).tolist():
-            own = order[edges[s] : edges[s + 1]]
-            out[own] = self._file(f"{name}{s}", kind)[place[own]]
+        for s, own in self._by_shard(part):
+            out[own] = self._file(name.format(s) if "{}" in name else f"{name}{s}", kind)[place[own]]
         return out
 
     def unigram(self, count: np.ndarray) -> np.ndarray:
@@ -338,7 +388,7 @@ class Model:
         # each distinct pair is searched for once
         both = (v >= 0) & (w >= 0)
         key = np.where(both, v * np.int64(begin + 2) + w, -1)
-        distinct, back = np.unique(key, return_inverse=True)
+        distinct, back = _distinct(key)
         real = distinct >= 0
         pu, pw = distinct[real] // (begin + 2), distinct[real] % (begin + 2)
         part, place, found = self.find_pairs(pu, pw)
@@ -368,14 +418,15 @@ class Model:
         rank_known = d_found[back[t]]
         start = np.zeros(len(t), np.int64)
         if rank_known.any():
-            head, inverse = np.unique(v[t], return_inverse=True)
+            head, inverse = _distinct(v[t])
             _, begins, _ = self.find_pairs(head, np.zeros(len(head), np.int64))
             start = begins[inverse]
         rank = d_place[back[t]] - start
         query = j_place * np.int64(self.widest) + rank
         hit, triple = np.zeros(len(t), bool), np.zeros(len(t))
-        for s in np.unique(j_part).tolist():
-            own = np.flatnonzero((j_part == s) & rank_known)
+        asked = np.flatnonzero(rank_known)
+        for s, own in self._by_shard(j_part[asked]):
+            own = asked[own]
             own = own[np.argsort(query[own])]
             where, ok = self._trie(f"t{s}").locate(query[own])
             hit[own] = ok
@@ -426,14 +477,14 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
                 if b > a:
                     yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([int(b - a)], pa.int64()), pa.array([_pack(keys[a:b], counts[a:b])], pa.binary())], ["shard", "n", "block"])
 
-    def by_shard(batches: Iterator[pa.RecordBatch], kinds: list, finish) -> Iterator[tuple]:
-        """Blocks come sorted by shard; ``finish`` gets a shard and its columns."""
+    def by_shard(batches: Iterator[pa.RecordBatch], kinds: list, finish, apart: int = 0) -> Iterator[tuple]:
+        """Blocks come sorted by shard; ``finish`` gets a shard and its columns, the first ``apart`` as lists of blocks."""
         state: dict = {"shard": None, "held": []}
 
         def close():
             if state["shard"] is None:
                 return None
-            columns = [np.concatenate([h[k] for h in state["held"]]) for k in range(len(kinds))]
+            columns = [own if k < apart else np.concatenate(own) for k in range(len(kinds)) for own in [[h[k] for h in state["held"]]]]
             state["held"] = []
             return finish(state["shard"], columns)
 
@@ -480,6 +531,8 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
             put(uri, f"v{s}.hash", np.empty(0, np.uint64))
             put(uri, f"v{s}.count", np.empty(0, np.int64))
     size = offsets[-1]
+    base = size + 2
+    one_key = (size // shards + 1) * base * base < 2**64  # a trigram's number within its shard fits a word
     numbering = (uri, shards, offsets, total, (d1, 0.5, 0.5), 1)
 
     def gram_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -488,31 +541,29 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
         held: list = []
         waiting = 0
 
-        def merged():
-            return _summed([np.concatenate([h[k] for h in held]) for k in range(2)], np.concatenate([h[2] for h in held]))
-
         def flush():
-            (uv, w), counts = merged()
-            u = (uv // np.uint64(size + 2)).astype(np.int64)
-            part = u % shards
-            order = np.argsort(part, kind="stable")
+            part, keys = np.concatenate([h[0] for h in held]), [np.concatenate([h[k] for h in held]) for k in range(1, len(held[0]))]
+            order = np.argsort(part.astype(np.uint16) if shards < 1 << 16 else part, kind="stable")
             edges = np.searchsorted(part[order], np.arange(shards + 1))
-            for s in range(shards):
+            for s in np.flatnonzero(np.diff(edges)).tolist():
                 own = order[edges[s] : edges[s + 1]]
-                if len(own):
-                    yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([len(own)], pa.int64()), pa.array([_pack(uv[own], w[own].astype(np.uint32), counts[own].astype(np.uint32))], pa.binary())], ["shard", "n", "block"])
+                if len(keys) == 1:
+                    first, counts = _counted(np.sort(keys[0][own]))
+                    columns = [first]
+                else:
+                    columns, counts = _summed([k[own] for k in keys], np.ones(len(own), np.int64))
+                yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([len(counts)], pa.int64()), pa.array([_pack(_steps(columns[0]), *columns[1:], counts.astype(np.uint32))], pa.binary())], ["shard", "n", "block"])
 
         for part in _parts(batches, 0):
             hashes, code, doc = tokens(part.column(0))
             number, _ = model.numbers(hashes)
             w = number[code]
             first = np.concatenate(([True], doc[1:] != doc[:-1]))
-            v = np.where(first, size, np.concatenate(([size], w[:-1])))
-            nxt = np.where(np.concatenate((first[1:], [True])), size + 1, np.concatenate((w[1:], [size + 1])))
-            uv = v.astype(np.uint64) * np.uint64(size + 2) + w.astype(np.uint64)
-            (uv, w3), counts = _summed([uv, nxt], np.ones(len(nxt), np.int64))
-            held.append((uv, w3, counts))
-            waiting += len(counts)
+            u = np.where(first, size, np.concatenate(([size], w[:-1])))
+            nxt = np.where(np.concatenate((first[1:], [True])), size + 1, np.concatenate((w[1:], [size + 1]))).astype(np.uint64)
+            pair = (u // shards).astype(np.uint64) * np.uint64(base) + w.astype(np.uint64)
+            held.append((u % shards, pair * np.uint64(base) + nxt) if one_key else (u % shards, pair, nxt))
+            waiting += len(w)
             if waiting > 6_000_000:
                 yield from flush()
                 held, waiting = [], 0
@@ -521,22 +572,24 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
 
     def levels(batches):
         def finish(s, columns):
-            (uv, w), counts = _summed([columns[0], columns[1].astype(np.int64)], columns[2].astype(np.int64))
-            start = np.flatnonzero(np.concatenate(([True], uv[1:] != uv[:-1])))
-            pair, pair_count = uv[start], np.add.reduceat(counts, start)
-            u, v = pair // np.uint64(size + 2), pair % np.uint64(size + 2)
-            EliasFano.build((u // np.uint64(shards)) * np.uint64(size + 2) + v).save(uri, f"p{s}")
-            of = np.repeat(np.arange(len(start)), np.diff(np.concatenate((start, [len(uv)]))))
+            keys, counts = _summed([np.concatenate([_steps_back(c) for c in columns[0]]), *columns[1:-1]], columns[-1].astype(np.int64))
+            pairs, w = (keys[0] // np.uint64(base), (keys[0] % np.uint64(base)).astype(np.int64)) if one_key else (keys[0], keys[1].astype(np.int64))
+            start = np.flatnonzero(np.concatenate(([True], pairs[1:] != pairs[:-1])))
+            pair, pair_count = pairs[start], np.add.reduceat(counts, start)
+            EliasFano.build(pair).save(uri, f"p{s}")
             real = w <= size
             kept = real & (counts >= keep)
-            put(uri, f"x{s}.pair", pair)
-            put(uri, f"x{s}.count", pair_count.astype(np.uint32 if int(pair_count.max()) < 2**32 else np.int64))
-            put_third(uri, s, of[kept], w[kept], counts[kept])
+            fall = np.add.reduceat(kept.astype(np.int64), start)  # trigrams below each pair
+            put_columns(uri, f"x{s}.pair", pair, pair_count, fall)
+            put_columns(uri, f"x{s}.third", w[kept], counts[kept])
+            u = pair // np.uint64(base)
             runs = np.flatnonzero(np.concatenate(([True], u[1:] != u[:-1], [True])))
             return s, len(pair), int(np.diff(runs).max()), int((pair_count == 1).sum()), int((pair_count == 2).sum()), int((real & (counts == 1)).sum()), int((real & (counts == 2)).sum())
 
-        return table_of(by_shard(batches, [np.uint64, np.uint32, np.uint32], finish), ["shard", "pairs", "widest", "p1", "p2", "t1", "t2"])
+        kinds = [np.uint64, np.uint32] if one_key else [np.uint64, np.uint64, np.uint32]
+        return table_of(by_shard(batches, kinds, finish, apart=1), ["shard", "pairs", "widest", "p1", "p2", "t1", "t2"])
 
+    release(spark)
     blocks = dealt(texts.mapInArrow(gram_blocks, "shard int, n long, block binary"))
     rows = {r["shard"]: r for r in blocks.mapInArrow(levels, "shard long, pairs long, widest long, p1 long, p2 long, t1 long, t2 long").collect()}
     sums = {k: sum(r[k] for r in rows.values()) for k in ("p1", "p2", "t1", "t2")}
@@ -544,48 +597,64 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
     made = set(rows)
     setup = (uri, shards, offsets, total, model.discounts, model.widest)
 
-    def weights(batches):
-        """Probabilities, back-off weights and the third level of the shards that a task is given."""
+    def second(batches):
+        """Probabilities of pairs and back-off weights of words; the probabilities also unrounded, for the next level."""
         model = _cached(*setup)
-        _, d2, d3 = model.discounts
-        for batch in batches:
-            for s in batch.column(0).to_pylist():
-                contexts = (size + 2 - s + shards - 1) // shards  # words u with u % shards == s, the begin among them
-                if s not in made:
-                    EliasFano.build(np.empty(0, np.uint64)).save(uri, f"p{s}")
-                    EliasFano.build(np.empty(0, np.uint64)).save(uri, f"t{s}")
-                    put(uri, f"pb{s}", np.zeros(max(1, contexts), np.uint8))
-                    for name in ("pp", "tb", "tp"):
-                        put(uri, f"{name}{s}", np.empty(0, np.uint8))
-                    continue
-                pair, count = counted_pairs(uri, s)
-                of, w, c = third_of(uri, s)
-                u, v = (pair // np.uint64(size + 2)).astype(np.int64), (pair % np.uint64(size + 2)).astype(np.int64)
-                local = u // shards
-                outside = np.bincount(local, weights=count, minlength=contexts)
-                slack = d2 * np.bincount(local, minlength=contexts) / np.maximum(outside, 1)
-                put(uri, f"pb{s}", quantised(np.log10(np.clip(slack, 1e-10, 1.0))))
-                single = 10 ** model.unigram(counts_of(model, v))
-                lower = (count - d2) / outside[local] + slack[local] * single
-                put(uri, f"pp{s}", quantised(np.log10(lower)))
-                # third level
-                below = np.bincount(of, weights=c - d3, minlength=len(pair)) / count
-                marked = np.bincount(of, minlength=len(pair)) > 0
-                loose = np.clip(1 - below, 1e-10, 1.0)
-                put(uri, f"tb{s}", np.where(marked, np.minimum(quantised(np.log10(loose)), 254), 255).astype(np.uint8))
-                mid = v[of]
-                part, place, found = model.find_pairs(mid, w)
-                head, inverse = np.unique(mid, return_inverse=True)
-                _, begins, _ = model.find_pairs(head, np.zeros(len(head), np.int64))
-                rank = place - begins[inverse]
-                key = of * np.int64(model.widest) + rank
-                order = np.argsort(key, kind="stable")
-                EliasFano.build(key[order].astype(np.uint64)).save(uri, f"t{s}")
-                # interpolated with the exact probability of the shorter context, not with its quantised one
-                shorter = pair_probability(model, part, place, mid, w, d2)
-                p = (c - d3) / count[of] + loose[of] * shorter
-                put(uri, f"tp{s}", quantised(np.log10(p))[order])
-            yield pa.RecordBatch.from_arrays([pa.array([batch.num_rows], pa.int64())], ["n"])
+        d2 = model.discounts[1]
+        for s in shards_of(batches):
+            contexts = (size + 2 - s + shards - 1) // shards  # words u with u % shards == s, the begin among them
+            if s not in made:
+                EliasFano.build(np.empty(0, np.uint64)).save(uri, f"p{s}")
+                put(uri, f"pb{s}", np.zeros(max(1, contexts), np.uint8))
+                put(uri, f"pp{s}", np.empty(0, np.uint8))
+                continue
+            pair, count, _ = columns_of(uri, f"x{s}.pair")
+            local, v = pair // base, pair % base
+            outside = np.bincount(local, weights=count, minlength=contexts)
+            slack = d2 * np.bincount(local, minlength=contexts) / np.maximum(outside, 1)
+            put(uri, f"pb{s}", quantised(np.log10(np.clip(slack, 1e-10, 1.0))))
+            p = (count - d2) / outside[local] + slack[local] * 10 ** model.unigram(counts_of(model, v))
+            put(uri, f"pp{s}", quantised(np.log10(p)))
+            put(uri, f"x{s}.p", p.astype(np.float32))
+        yield done()
+
+    def third(batches):
+        """The third level of the shards that a task is given. Its input goes once its output is there."""
+        model = _cached(*setup)
+        d3 = model.discounts[2]
+        for s in shards_of(batches):
+            if s not in made:
+                EliasFano.build(np.empty(0, np.uint64)).save(uri, f"t{s}")
+                for name in ("tb", "tp"):
+                    put(uri, f"{name}{s}", np.empty(0, np.uint8))
+                continue
+            if exists(uri, f"t{s}.done"):  # by a task that was lost after its work
+                continue
+            pair, count, fall = columns_of(uri, f"x{s}.pair")
+            w, c = columns_of(uri, f"x{s}.third")
+            of = np.repeat(np.arange(len(pair)), fall)
+            loose = np.clip(1 - np.bincount(of, weights=c - d3, minlength=len(pair)) / count, 1e-10, 1.0)
+            put(uri, f"tb{s}", np.where(fall > 0, np.minimum(quantised(np.log10(loose)), 254), 255).astype(np.uint8))
+            mid = (pair % base)[of]
+            head, inverse = _distinct(mid)
+            _, begins, _ = model.find_pairs(head, np.zeros(len(head), np.int64))
+            part, place, _ = model.find_pairs(mid, w)
+            key = of * np.int64(model.widest) + place - begins[inverse]
+            # interpolated with the unrounded probability of the shorter context
+            p = (c - d3) / count[of] + loose[of] * model.gather("x{}.p", np.float32, part, place)
+            order = np.argsort(key, kind="stable")
+            EliasFano.build(key[order].astype(np.uint64)).save(uri, f"t{s}")
+            put(uri, f"tp{s}", quantised(np.log10(p))[order])
+            put(uri, f"t{s}.done", np.ones(1, np.uint8))
+            for name in ("pair", "third"):
+                remove(uri, f"x{s}.{name}")
+        yield done()
+
+    def shards_of(batches):
+        return [s for batch in batches for s in batch.column(0).to_pylist()]
+
+    def done():
+        return pa.RecordBatch.from_arrays([pa.array([1], pa.int64())], ["n"])
 
     def counts_of(model, number):
         out = np.zeros(len(number), np.int64)
@@ -595,25 +664,12 @@ def train(docs: DataFrame, shards: int | None = None, keep: int = KEEP) -> Model
             out[own] = opened(uri, f"v{s}.count", np.int64)[number[own] - offsets[s]]
         return out
 
-    def pair_probability(model, part, place, u, w, d2):
-        """Interpolated probability of pairs, from the counts that the level before has written."""
-        out = np.zeros(len(u))
-        for s in np.unique(part).tolist():
-            own = np.flatnonzero(part == s)
-            pair, count = counted_pairs(uri, s)
-            base = np.uint64(size + 2)
-            head, inverse = np.unique(u[own], return_inverse=True)
-            low, high = np.searchsorted(pair, head.astype(np.uint64) * base), np.searchsorted(pair, (head + 1).astype(np.uint64) * base)
-            sums = np.concatenate(([0], np.cumsum(count, dtype=np.int64)))
-            outside, kinds = sums[high] - sums[low], high - low
-            out[own] = (count[place[own]] - d2) / outside[inverse] + d2 * kinds[inverse] / outside[inverse] * 10 ** model.unigram(counts_of(model, w[own]))
-        return out
-
-    spark.range(0, shards, 1, shards).mapInArrow(weights, "n long").agg(F.sum("n")).collect()
-    system, path = _system(uri)
+    del blocks
+    release(spark)
+    for level in (second, third):
+        spark.range(0, shards, 1, shards).mapInArrow(level, "n long").agg(F.sum("n")).collect()
     for s in sorted(made):  # what only the build needed
-        for name in ("pair", "count", "third"):
-            system.delete_file(f"{path}/x{s}.{name}")
+        remove(uri, f"x{s}.p")
     return model
 
 
