@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 pytest.importorskip("tuplegraph.llm")
 from tuplegraph.llm import bpe, decontam, near_dup, ngram, order_minhash, pii, quality, queries, repeats, sharding, toxicity  # noqa: E402
-from tuplegraph.llm.common import components  # noqa: E402
+from tuplegraph.llm.common import components, fold  # noqa: E402
 
 WORDS = [f"w{k}" for k in range(40)]
 LONG = " ".join(WORDS)
@@ -221,11 +221,6 @@ def test_capacity_is_least(spark):
     assert sharding.plan(table)[0] == next(c for c in range(1, 10**6) if fits(c))
 
 
-def occurrences(t, k=order_minhash.K):
-    w = t.split()
-    return len(w), k
-
-
 def test_fingerprints(docs, empty):
     got = order_minhash.compare(docs).collect()
     assert len(got) == len(ODD)
@@ -362,9 +357,51 @@ def test_quality(spark, docs, labels, empty):
     assert p[0] > 0.7 > 0.5 > p[1]
 
 
-def test_held_out_accuracy(spark):
-    docs = spark.read.parquet(f"{SF.replace('0.001', '0.01')}/documents.parquet")
-    labels = spark.read.parquet(f"{SF.replace('0.001', '0.01')}/labels.parquet")
-    model = toxicity.held_out_model(docs, labels)
-    rows = toxicity.score(docs, *model).join(labels, "doc_id").select("predicted", "toxic").collect()
-    assert np.mean([r.predicted == r.toxic for r in rows]) > 0.93
+def slow_probability(net, text):
+    """The network's formula, window by window."""
+    data = list((text or "").encode())
+    tops = []
+    for start in range(0, max(1, len(data) - quality.OVERLAP), quality.CHUNK - quality.OVERLAP):
+        part = data[start : start + quality.CHUNK]
+        codes = part + [quality.PAD] * (quality.CHUNK - len(part))
+        best = np.full(quality.FILTERS, -1e9, np.float32)
+        for at in range(0, quality.CHUNK - quality.STEP, quality.STEP):
+            if at < len(part):
+                first, second = (np.concatenate([net["bytes"][c] for c in codes[p : p + quality.STEP]]) for p in (at, at + quality.STEP))
+                best = np.maximum(best, first @ net["filters"][:, : quality.FILTERS] + second @ net["filters"][:, quality.FILTERS :])
+        tops.append(np.maximum(best + net["bias"], 0))
+    x = np.concatenate([np.max(tops, axis=0), np.mean(tops, axis=0), [1.0]])
+    return 1 / (1 + np.exp(-(x @ net["out"])))
+
+
+def test_quality_against_loops():
+    rng = np.random.default_rng(2)
+    net = quality.initial()
+    net["out"] = rng.normal(0, 0.3, len(net["out"])).astype(np.float32)
+    texts = ["", "short", "plain words " * 30, "é" * 1500, "".join(chr(c) for c in rng.integers(32, 126, 5000))]
+    assert quality.probability(net, texts) == pytest.approx([slow_probability(net, t) for t in texts], abs=1e-4)
+
+
+def test_fingerprints_against_brute_force(spark):
+    """Registers of order MinHash are the same for texts with the same numbered k-mers in the same order, long ones too."""
+    long = " ".join(f"w{k % 50}" for k in range(5000))
+    rows = [(1, long), (2, long), (3, long.replace("w7 ", "q ")), (4, "a b c d e f"), (5, "f e d c b a")]
+    got = {r.doc_id: r for r in order_minhash.compare(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1].fingerprint == got[2].fingerprint and got[1].near_next == 1.0
+    assert got[2].near_next < 1.0 and got[4].near_next < 1.0
+    for k, (d, t) in enumerate(rows):
+        nxt, half = rows[(k + 1) % len(rows)][1], len(t) // 2
+        assert got[d].edited_sha256 == hashlib.sha256((t[: len(t) - half] + nxt[:half]).encode()).hexdigest() and got[d].n_chars == len(t)
+
+
+@pytest.mark.parametrize(("operator", "column", "parts", "part", "least"), [(toxicity, "toxic", 5, 0, 0.93), (quality, "quality", 4, 2, 0.8)])
+def test_held_out_accuracy(spark, operator, column, parts, part, least):
+    """On the fold that was not learned from."""
+    docs = spark.read.parquet(f"{SF.replace('0.001', '0.1')}/documents.parquet").select("doc_id", "text")
+    labels = spark.read.parquet(f"{SF.replace('0.001', '0.1')}/labels.parquet")
+    model = operator.held_out_model(docs, labels)
+    args = model if operator is toxicity else (model,)
+    rows = operator.score(docs.where(fold("doc_id", parts) == part), *args).join(labels.where(f"{column} is not null"), "doc_id").select("predicted", column).collect()
+    right = np.mean([r.predicted == r[column] for r in rows])
+    print(operator.__name__, len(rows), round(right, 4))
+    assert len(rows) > 500 and right > least

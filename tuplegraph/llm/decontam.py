@@ -16,7 +16,7 @@ substitutions, so some run holds three tokens and the first mask hits. Only in t
 at most, which also gives the least number of hits on a diagonal; diagonals with fewer are not compared.
 
 Results for odd input: null or empty texts and items match nothing; items of fewer than ``shortest`` tokens are never
-reported; repeated rows give repeated pairs, one for each row; extra columns are ignored.
+reported; rows that are equal in id and text give one pair with an item; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -98,7 +98,7 @@ def overlaps(docs: DataFrame, items: DataFrame, masks: tuple[str, ...] = MASKS,
     """(doc_id, item_id, diagonal, agreeing, stretch) of each contaminated pair, by its best diagonal; th is a hash of the row's text."""
     prepare(docs.sparkSession)
     seeds, masks = item_seeds(items, masks, stretch, agree)
-    # a row key of its own tells rows with equal ids apart
+    # id and text together name a row
     rows = docs.select(F.col("doc_id"), F.xxhash64("text").alias("th"), "text")
     values = [r[0] for r in seeds.select("seed").distinct().limit(inline_seeds + 1).collect()]
     if not values:

@@ -6,8 +6,8 @@ chunk. The largest and the mean response over all chunks of the document are com
 probability.
 
 The network is trained on the driver on at most ``sample`` labelled documents of each class (the first by a hash of
-their id; of a long one, a spread of at most ``TRAIN_CHUNKS`` chunks), weighted back to the classes' true shares. Scoring
-reads every chunk of every document.
+their id, one text an id), on every chunk of each, weighted back to the classes' true shares. Scoring reads every chunk of
+every document.
 
 Results for odd input: a null or empty text has one chunk without windows and gets the probability of zero responses;
 labels that are null or conflict for an id are dropped; without labels of both classes every document gets the share of
@@ -28,22 +28,21 @@ from pyspark.sql import types as T
 from .common import fold, prepare
 
 CHUNK, OVERLAP, STEP, WIDE, FILTERS = 512, 64, 4, 8, 24
-SAMPLE, TRAIN_CHUNKS, EPOCHS, BATCH, RATE = 1500, 6, 8, 24, 0.004
+SAMPLE, EPOCHS, BATCH, RATE = 1500, 8, 24, 0.004
 THRESHOLD = 0.7
 BLOCK = 256  # chunks that are scored at once
 PAD = 256
 
 
-def chunks(text: str | None, most: int | None = None) -> np.ndarray:
-    """Byte codes of the chunks of a text, one row each; PAD fills the last. ``most``: only so many, evenly spread."""
+def chunks(text: str | None) -> np.ndarray:
+    """Byte codes of the chunks of a text, one row each; PAD fills the last."""
     data = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
     step = CHUNK - OVERLAP
     count = max(1, -(-max(0, len(data) - OVERLAP) // step))
-    which = np.arange(count) if most is None or count <= most else np.unique(np.linspace(0, count - 1, most).astype(int))
-    out = np.full((len(which), CHUNK), PAD, np.int16)
-    for row, k in enumerate(which):
+    out = np.full((count, CHUNK), PAD, np.int16)
+    for k in range(count):
         part = data[k * step : k * step + CHUNK]
-        out[row, : len(part)] = part
+        out[k, : len(part)] = part
     return out
 
 
@@ -76,7 +75,7 @@ def train(texts: list[str], labels: list[int], weights: list[float], epochs: int
     net = initial(seed)
     net["bytes"][PAD] = 0
     random = np.random.default_rng(seed)
-    data = [chunks(t, TRAIN_CHUNKS) for t in texts]
+    data = [chunks(t) for t in texts]
     y, w = np.array(labels, np.float32), np.array(weights, np.float32)
     moment = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.items()}
     step = 0
@@ -166,9 +165,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, epochs: int
     for y in (0, 1):
         part = marked.where(F.col("quality") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).select("doc_id", "quality")
         picked = part if picked is None else picked.union(part)
-    # of each text, as much as the training chunks span; at most 2 * sample rows reach the driver
-    span = F.when(F.length("text") <= 40 * CHUNK, F.col("text")).otherwise(F.concat(F.substring("text", 1, 20 * CHUNK), F.substring(F.col("text"), F.length("text") - 20 * CHUNK + 1, F.lit(20 * CHUNK))))
-    rows = docs.join(F.broadcast(picked), "doc_id").select("doc_id", "quality", span.alias("text")).collect()
+    # one whole text an id, so at most 2 * sample rows reach the driver
+    picked_docs = docs.join(F.broadcast(picked), "doc_id").groupBy("doc_id", "quality").agg(F.min_by(F.struct("text"), F.struct(F.xxhash64("text"), "text")).alias("t"))
+    rows = picked_docs.select("doc_id", "quality", F.col("t.text").alias("text")).collect()
     rows.sort(key=lambda r: (r["doc_id"], r["text"] or ""))
     got = {y: sum(r["quality"] == y for r in rows) for y in (0, 1)}
     if not got[0] or not got[1]:
