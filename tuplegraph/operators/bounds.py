@@ -32,6 +32,50 @@ def diameters(edges: DataFrame, membership: DataFrame) -> DataFrame:
     return rows.groupBy("cluster_id").applyInPandas(one, "cluster_id long, diameter double, min_transit double")
 
 
+def reaches(edges: DataFrame, membership: DataFrame) -> DataFrame:
+    """(cluster_id, widest): largest least cost inside a cluster among the pairs that have a way."""
+    inside = labelled(edges, membership).where("src_c = dst_c").groupBy("src", "dst", "src_c").agg(F.min("weight").alias("x")).select(F.col("src_c").alias("cluster_id"), F.col("src").alias("a"), F.col("dst").alias("b"), "x")
+
+    def one(key, frame: pd.DataFrame) -> pd.DataFrame:
+        cost = all_pairs(sorted(set(frame.a) | set(frame.b)), zip(frame.a.tolist(), frame.b.tolist(), frame.x.tolist(), strict=True))
+        return pd.DataFrame({"cluster_id": [key[0]], "widest": [max(cost.values())]})
+
+    found = inside.groupBy("cluster_id").applyInPandas(one, "cluster_id long, widest double")
+    return membership.select("cluster_id").distinct().join(found, "cluster_id", "left").select("cluster_id", F.coalesce("widest", F.lit(0.0)).alias("widest"))
+
+
+def transits(edges: DataFrame, membership: DataFrame) -> DataFrame:
+    """(cluster_id, enter, leave, cost): least cost inside a cluster from each node that an edge enters to each that one leaves."""
+    both = labelled(edges, membership)
+    inside = both.where("src_c = dst_c").groupBy("src", "dst", "src_c").agg(F.min("weight").alias("x")).select(F.col("src_c").alias("cluster_id"), F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), "x")
+    gate = lambda side, c, kind: both.where("src_c <> dst_c").select(F.col(c).alias("cluster_id"), F.lit(kind).alias("kind"), F.col(side).alias("a"), F.lit(0).cast("long").alias("b"), F.lit(0.0).alias("x")).distinct()
+
+    def one(key, frame: pd.DataFrame) -> pd.DataFrame:
+        e = frame[frame.kind == "e"]
+        enter, leave = frame[frame.kind == "i"].a.tolist(), set(frame[frame.kind == "o"].a)
+        cost = all_pairs(enter, zip(e.a.tolist(), e.b.tolist(), e.x.tolist(), strict=True))
+        rows = [(key[0], a, b, c) for (a, b), c in cost.items() if b in leave]
+        return pd.DataFrame(rows, columns=["cluster_id", "enter", "leave", "cost"]).astype({"cluster_id": "int64", "enter": "int64", "leave": "int64", "cost": "float64"})
+
+    return inside.unionByName(gate("dst", "dst_c", "i")).unionByName(gate("src", "src_c", "o")).groupBy("cluster_id").applyInPandas(one, "cluster_id long, enter long, leave long, cost double")
+
+
+def of_answers(artificial: DataFrame, super_links: DataFrame, per_cluster: DataFrame, mode: str = "sound") -> DataFrame:
+    """(query_id, rnk, clusters, lower, upper) of artificial answers (query_id, rnk, root, tree, leaves), as ``bounds`` has them.
+
+    super_links: (src_c, dst_c, least); per_cluster: (cluster_id, diameter, min_transit).
+    """
+    ends = F.transform("tree", lambda e: F.split(e, ">").cast("array<long>"))
+    each = artificial.select("query_id", "rnk", "leaves", F.array_sort(F.array_union(F.array("root"), F.flatten(ends))).alias("clusters"), ends.alias("ends"))
+    crossed = each.select("query_id", "rnk", F.explode("ends").alias("e")).select("query_id", "rnk", F.col("e")[0].alias("src_c"), F.col("e")[1].alias("dst_c")).join(super_links, ["src_c", "dst_c"]).groupBy("query_id", "rnk").agg(F.sum("least").alias("links"))
+    beside = F.size(F.filter("ends", lambda e: F.array_contains(e, F.col("c"))))
+    nodes = each.withColumn("c", F.explode("clusters")).withColumn("holds", F.array_contains("leaves", F.col("c"))).withColumn("ends_at", beside + F.col("holds").cast("int"))
+    times = F.lit(1) if mode == "printed" else F.greatest(F.col("ends_at") - 1, F.lit(0))
+    part = F.when(times > 0, times * F.col("diameter")).otherwise(0.0)  # no attachment to bridge, however far its nodes are apart
+    sums = nodes.join(per_cluster.withColumnRenamed("cluster_id", "c"), "c").groupBy("query_id", "rnk", "clusters").agg(F.sum(F.when(~F.col("holds"), F.col("min_transit")).otherwise(0.0)).alias("lower"), F.sum(part).alias("inside"))
+    return sums.join(crossed, ["query_id", "rnk"], "left").select("query_id", "rnk", "clusters", "lower", (F.col("inside") + F.coalesce("links", F.lit(0.0))).alias("upper"))
+
+
 def bounds(tree: list[tuple[int, int, float]], roles: dict[int, bool], diameter: dict[int, float], transit: dict[int, float], mode: str = "sound") -> tuple[float, float]:
     """(lower, upper) cost of a real answer below a tree of clusters.
 

@@ -46,14 +46,27 @@ def adjacency(graph: Graph, size: int) -> DataFrame:
     return named(signatures(graph).withColumn("g", F.struct(*same, number.alias("n"))).select("node_id", "g"))
 
 
-def similar_adjacency(graph: Graph, size: int, bands: int = 8) -> DataFrame:
-    """Nodes with similar neighbour sets: those that share the least hash of their neighbours in some band are joined, first band first."""
+def similar_adjacency(graph: Graph, size: int, tau: float = 0.75, bands: int = 8) -> DataFrame:
+    """Nodes whose out-neighbour sets have a Jaccard similarity of ``tau`` or more with the first of their group.
+
+    A band is the least hash of the neighbours; the nodes of a band's bucket that are not in a group yet are compared with
+    the bucket's first node, band after band, on full lists. So a bucket costs its size, not its pairs.
+    """
+    links = cut(graph.edges.groupBy("src", "dst").agg(F.lit(1).alias("one")).drop("one"))
     least = [F.min(F.xxhash64(F.lit(b), F.col("dst"))).alias(f"m{b}") for b in range(bands)]
-    keys = graph.edges.groupBy(F.col("src").alias("node_id")).agg(*least)
-    nodes = graph.nodes.select("node_id").join(keys, "node_id", "left")
-    pair = F.struct(*[F.coalesce(f"m{b}", F.col("node_id")).alias(f"m{b}") for b in range(2)])
-    number = F.floor((F.row_number().over(Window.partitionBy("p").orderBy("node_id")) - 1) / size)
-    return named(nodes.withColumn("p", pair).withColumn("g", F.struct("p", number.alias("n"))).select("node_id", "g"))
+    keys = cut(links.groupBy(F.col("src").alias("node_id")).agg(F.count(F.lit(1)).alias("degree"), *least))
+    state = cut(graph.nodes.select("node_id").join(keys.select("node_id"), "node_id", "left").withColumn("head", F.lit(None).cast("long")))
+    for band in range(bands):
+        free = state.where("head is null").select("node_id").join(keys, "node_id").select("node_id", "degree", F.col(f"m{band}").alias("m"))
+        first = free.groupBy("m").agg(F.min(F.struct("node_id", "degree")).alias("f"), F.count(F.lit(1)).alias("n")).where("n > 1").select("m", F.col("f.node_id").alias("first"), F.col("f.degree").alias("first_degree"))
+        asked = free.join(first, "m").where("node_id <> first").where(F.least("degree", "first_degree") >= tau * F.greatest("degree", "first_degree"))
+        shared = asked.join(links, F.col("node_id") == F.col("src")).join(links.select(F.col("src").alias("first"), F.col("dst")), ["first", "dst"]).groupBy("node_id", "first", "degree", "first_degree").agg(F.count(F.lit(1)).alias("both"))
+        near = cut(shared.where(F.col("both") >= tau * (F.col("degree") + F.col("first_degree") - F.col("both"))).select("node_id", F.col("first").alias("new")))
+        heads = near.select(F.col("new").alias("node_id"), "new").distinct()
+        state = cut(state.join(near.unionByName(heads), "node_id", "left").select("node_id", F.coalesce("head", "new").alias("head")))
+    state = state.withColumn("head", F.coalesce("head", "node_id"))
+    number = F.floor((F.row_number().over(Window.partitionBy("head").orderBy("node_id")) - 1) / size)
+    return named(state.withColumn("g", F.struct("head", number.alias("n"))).select("node_id", "g"))
 
 
 def random(graph: Graph, size: int) -> DataFrame:
@@ -215,6 +228,29 @@ def merge_twins(graph: Graph) -> DataFrame:
     return groups.join(texts, keys).select("rel", "first_id", "n_nodes", "text")
 
 
+def merge_similar(graph: Graph, similarity, tau: float) -> DataFrame:
+    """(node_id, first_id): nodes of one relation with equal lists that are similar to the first of them.
+
+    ``similarity`` takes the columns of two texts and gives a column from 0 to 1, such as one that an ontology supplies.
+    """
+    rows = signatures(graph).join(graph.nodes.select("node_id", "rel", "text"), "node_id")
+    keys = ["rel", "degree", "s1", "s2"]
+    first = rows.groupBy(*keys).agg(F.min(F.struct("node_id", "text")).alias("f")).select(*keys, F.col("f.node_id").alias("first_id"), F.col("f.text").alias("first_text"))
+    return rows.join(first, keys).where(similarity(F.col("text"), F.col("first_text")) >= tau).select("node_id", "first_id")
+
+
+def faults(graph: Graph, membership: DataFrame, size: int, connected: bool = True) -> DataFrame:
+    """One row: n_nodes that have a cluster, n_twice with several, n_over clusters above the size, n_split in several pieces."""
+    from .components import components
+
+    inner = graph.edges.select("src", "dst").join(membership.select(F.col("node_id").alias("src"), F.col("cluster_id").alias("c")), "src").join(membership.select(F.col("node_id").alias("dst"), F.col("cluster_id").alias("d")), "dst").where("c = d")
+    joined = components(inner.select(F.col("src").alias("a"), F.col("dst").alias("b"))) if connected else membership.select(F.col("node_id").alias("node"), F.col("cluster_id").alias("label"))
+    pieces = membership.join(joined.withColumnRenamed("node", "node_id"), "node_id", "left").groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.count_distinct(F.coalesce("label", "node_id")).alias("p"))
+    known = graph.nodes.select("node_id").join(membership, "node_id").groupBy("node_id").agg(F.count(F.lit(1)).alias("c"))
+    one = known.agg(F.count(F.lit(1)).alias("n_nodes"), F.count_if(F.col("c") > 1).alias("n_twice"))
+    return one.crossJoin(pieces.agg(F.count_if(F.col("n") > size).alias("n_over"), F.count_if(F.col("p") > 1).alias("n_split")))  # one row each
+
+
 def levels(graph: Graph, size: int, fit: int, technique=None, most: int = 4) -> list[DataFrame]:
     """Clusterings of clusterings until at most ``fit`` clusters are left, or after ``most`` levels."""
     from .quotient import quotient
@@ -282,13 +318,14 @@ def clustered_split(membership: DataFrame, edges: DataFrame, elements: list[int]
     return rows.groupBy("cluster_id").applyInPandas(one, "node_id long, cluster_id long")
 
 
-def refine(graph: Graph, start: DataFrame, policy: str = "largest", abort_max: int = 6, batch: int = 8, max_rounds: int = 6, least: int = 4, seed: int = 0) -> DataFrame:
-    """Refine a partition by splits of its elements until ``abort_max`` splits in a row fail.
+def refine(graph: Graph, start: DataFrame, policy: str = "largest", abort_max: int = 6, batch: int = 64, max_rounds: int | None = None, least: int = 4, seed: int = 0) -> DataFrame:
+    """Refine a partition by splits of its elements until ``abort_max`` splits in a row fail or none is left to split.
 
     policy: which elements are split next, the largest or a random choice; ``batch`` of them a round.
     """
-    state, failed, tried = cut(start), 0, set()
-    for _ in range(max_rounds):
+    state, failed, tried, done = cut(start), 0, set(), 0
+    while max_rounds is None or done < max_rounds:
+        done += 1
         sizes = state.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= least).where(~F.col("cluster_id").isin(sorted(tried) or [-1]))
         order = [F.desc("n"), "cluster_id"] if policy == "largest" else [F.xxhash64(F.lit(seed), "cluster_id")]
         chosen = [r["cluster_id"] for r in sizes.orderBy(*order).limit(batch).collect()]

@@ -20,5 +20,5 @@ def components(links: DataFrame, max_rounds: int = 40) -> DataFrame:
         moved = cut(step.join(jump, "to", "left").select("node", F.least("to", F.coalesce("far", "to")).alias("new"), "label"))
         state = moved.select("node", F.col("new").alias("label"))
         if moved.where("new <> label").isEmpty():
-            break
-    return state
+            return state
+    raise RuntimeError(f"components did not settle in {max_rounds} rounds")

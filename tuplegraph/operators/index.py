@@ -55,14 +55,21 @@ def query_frame(spark: SparkSession, queries: dict[str, tuple[str, ...]]) -> Dat
     return spark.createDataFrame(rows, "query_id string, term string")
 
 
+def column_words(postings: DataFrame) -> DataFrame:
+    """(term, rel): the words of the names of each relation's text columns, without a leading prefix letter."""
+    words = F.split(F.regexp_replace("field", "^[a-z]{1,2}_", ""), "_")
+    return postings.select("rel", "field").distinct().select(F.explode(words).alias("term"), "rel").distinct()
+
+
 def match(postings: DataFrame, queries: DataFrame, metadata: bool = False, nodes: DataFrame | None = None) -> DataFrame:
     """(query_id, term, node_id, node_key): the node set of each keyword. A query's terms are few and broadcast.
 
-    ``metadata``: a term that names a relation also selects all its tuples.
+    ``metadata``: a term that names a relation, or a word of a column's name, also selects all tuples of the relation.
     """
     hits = postings.join(F.broadcast(queries), "term").select("query_id", "term", "node_id", "node_key")
     if metadata:
-        hits = hits.unionByName(nodes.join(F.broadcast(queries), F.col("rel") == F.col("term")).select("query_id", "term", "node_id", "node_key"))
+        names = column_words(postings).unionByName(nodes.select(F.col("rel").alias("term"), "rel").distinct()).distinct().join(F.broadcast(queries), "term")
+        hits = hits.unionByName(nodes.join(F.broadcast(names), "rel").select("query_id", "term", "node_id", "node_key"))
     return hits.distinct()
 
 

@@ -167,6 +167,8 @@ def bidirectional(graph: Adjacency, matches: dict, k: int, prestige: dict, mu: f
                 act[t][u] = max(act[t][u], given) if combine == "max" else act[t][u] + given
             if u not in popped[side]:
                 push(inward if use_in else outward, u)
+        for t in terms:  # a node keeps what it does not pass on
+            act[t][v] *= 1 - mu
         if use_in and v not in popped["out"]:
             push(outward, v)
     answers = [_tree(r, [(t, None) for t in terms], lambda t, o, x: way[t][x], graph) for r in sorted(minimal, key=roots.get)]

@@ -20,7 +20,7 @@ from .kernels import Adjacency, backward, bidirectional
 LOCAL_ROWS = 4_000_000
 
 
-def keyword_distances(edges: DataFrame, matches: DataFrame, max_cost: float = 4.0, max_rounds: int = 12, unit: bool = False, allowed: tuple[str, ...] | None = None, start: DataFrame | None = None, slack: float = 1e-9) -> DataFrame:
+def keyword_distances(edges: DataFrame, matches: DataFrame, max_cost: float = 4.0, max_rounds: int = 200, unit: bool = False, allowed: tuple[str, ...] | None = None, start: DataFrame | None = None, slack: float = 1e-9) -> DataFrame:
     """(query_id, term, node_id, dist): least cost of a way from a node to a node of the term's set, up to ``max_cost``.
 
     ``unit`` counts edges instead of weights, ``allowed`` restricts edge types, ``start`` gives (node_id, start) costs of
@@ -42,8 +42,8 @@ def keyword_distances(edges: DataFrame, matches: DataFrame, max_cost: float = 4.
         better = F.col("offer").isNotNull() & (F.col("dist").isNull() | (F.col("offer") < F.col("dist") - slack))
         state = cut(merged.select(*keys, F.when(better, F.col("offer")).otherwise(F.col("dist")).alias("dist"), better.alias("new")))
         if state.where("new").isEmpty():
-            break
-    return state.drop("new")
+            return state.drop("new")
+    raise RuntimeError(f"distances did not settle in {max_rounds} rounds")
 
 
 def next_hops(edges: DataFrame, dist: DataFrame, slack: float = 1e-9) -> DataFrame:
@@ -64,7 +64,7 @@ def roots(dist: DataFrame, queries: DataFrame, pool: int) -> DataFrame:
     return ranked.where(F.col("r") <= pool).select("query_id", "root", "cost")
 
 
-def paths(found: DataFrame, hops: DataFrame, max_hops: int = 12) -> DataFrame:
+def paths(found: DataFrame, hops: DataFrame, max_hops: int = 200) -> DataFrame:
     """(query_id, root, term, src, dst): the edges of each root's least way to each term; one row with src = dst at its end."""
     step = found.select("query_id", "root").join(hops.select("query_id", "term", "node_id", "next_id"), (hops.query_id == found.query_id) & (hops.node_id == found.root)).select(found.query_id, "root", "term", F.col("node_id").alias("src"), F.col("next_id").alias("dst"))
     out, ways = None, hops.select("query_id", "term", F.col("node_id").alias("at"), F.col("next_id").alias("ahead"))
@@ -74,9 +74,20 @@ def paths(found: DataFrame, hops: DataFrame, max_hops: int = 12) -> DataFrame:
         out = part if out is None else out.unionByName(part)
         going = step.where("dst is not null")
         if going.isEmpty():
-            break
+            return out
         step = going.join(ways, (going.query_id == ways.query_id) & (going.term == ways.term) & (going.dst == ways.at)).select(going.query_id, "root", going.term, F.col("at").alias("src"), F.col("ahead").alias("dst"))
-    return out
+    raise RuntimeError(f"a way has more than {max_hops} hops")
+
+
+def several_paths(edges: DataFrame, dist: DataFrame, per_node: int, slack: float = 1e-9) -> DataFrame:
+    """(query_id, term, node_id, r, next_id, cost): the ``per_node`` cheapest ways of each node to each term that begin with
+    different edges; ties by the next node. One way a node hides answers whose best branch is taken by another keyword."""
+    links = edges.groupBy("src", "dst").agg(F.min("weight").alias("w"))
+    ahead = dist.select("query_id", "term", F.col("node_id").alias("next_id"), F.col("dist").alias("ahead"))
+    steps = dist.select("query_id", "term", "node_id").join(links.withColumnsRenamed({"src": "node_id", "dst": "next_id"}), "node_id")
+    ways = steps.join(ahead, ["query_id", "term", "next_id"]).select("query_id", "term", "node_id", "next_id", F.round(F.col("w") + F.col("ahead"), 6).alias("cost"))
+    order = Window.partitionBy("query_id", "term", "node_id").orderBy("cost", "next_id")
+    return ways.withColumn("r", F.row_number().over(order)).where(F.col("r") <= per_node)
 
 
 def backward_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, max_cost: float = 4.0, pool: int = 50) -> DataFrame:
@@ -87,27 +98,31 @@ def backward_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, max_co
     return paths(found, next_hops(graph.edges, dist))
 
 
-def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k: int = 10, batch: int = 64, max_rounds: int = 8, mu: float = 0.5, combine: str = "max", slack: float = 1e-9) -> DataFrame:
-    """(query_id, term, node_id, dist, activation, taken): bidirectional search with ``batch`` nodes a query and round.
+def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k: int = 10, batch: int = 64, mu: float = 0.5, combine: str = "max", max_rounds: int = 500, slack: float = 1e-9) -> DataFrame:
+    """(query_id, term, node_id, dist, activation, taken): bidirectional search in rounds, exact for the ``k`` cheapest roots.
 
     The most activated nodes that are open pass on distance and activation against their in-edges, and take distances
     along their out-edges from neighbours that have one. A node whose distance improves is open again, so improvements
-    reach what depends on it. The search ends when every query has ``k`` nodes with a distance for each of its terms,
-    when nothing is open, or after ``max_rounds``.
+    reach what depends on it. A way through an open node costs its distance and one edge at least, so a node stays closed
+    once that is more than the query's k-th cheapest root so far; the search ends when nothing is left. The batch doubles
+    each round, so the number of rounds does not follow the size of the origin sets.
     """
     from . import activation
 
     links = cut(graph.edges.groupBy("src", "dst").agg(F.min("weight").alias("w")))
+    least = links.agg(F.min("w")).first()[0] or 0.0
     inward = cut(activation.shares(graph.edges, "in").withColumnRenamed("share", "s"))
     seeded = activation.seed(complete(matches, queries), graph.nodes)
     state = cut(seeded.select("query_id", "term", "node_id", F.lit(0.0).alias("dist"), "activation", F.lit(False).alias("taken")))
-    need = queries.groupBy("query_id").agg(F.count_distinct("term").alias("need"))
     keys, how = ["query_id", "term", "node_id"], F.max if combine == "max" else F.sum
-    for _ in range(max_rounds):
-        total = state.where("not taken").groupBy("query_id", "node_id").agg(F.sum("activation").alias("a"))
-        picked = cut(total.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("a"), "node_id"))).where(F.col("r") <= batch).select("query_id", "node_id"))
+    for number in range(max_rounds):
+        kth = roots(state, queries, k).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"), F.max("cost").alias("kth")).where(F.col("n") >= k).select("query_id", "kth")
+        live = state.where("not taken").join(F.broadcast(kth), "query_id", "left").where(F.col("kth").isNull() | (F.col("dist") + least <= F.col("kth") + slack))
+        total = live.groupBy("query_id", "node_id").agg(F.sum("activation").alias("a"))
+        order = Window.partitionBy("query_id").orderBy(F.desc("a"), "node_id")
+        picked = cut(total.withColumn("r", F.row_number().over(order)).where(F.col("r") <= batch * 2 ** min(number, 40)).select("query_id", "node_id"))
         if picked.isEmpty():
-            break
+            return state
         now = state.join(picked, ["query_id", "node_id"])
         back = now.join(links, F.col("node_id") == F.col("dst")).join(inward, (F.col("giver") == F.col("dst")) & (F.col("taker") == F.col("src")))
         back = back.select("query_id", "term", F.col("src").alias("node_id"), (F.col("dist") + F.col("w")).alias("offer"), (mu * F.col("activation") * F.col("s")).alias("gift"))
@@ -120,10 +135,7 @@ def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k
         kept = F.coalesce("activation", F.lit(0.0)) * F.when(F.col("now"), 1 - mu).otherwise(1.0)
         gift = F.coalesce("gift", F.lit(0.0))
         state = cut(merged.select(*keys, F.when(better, F.col("offer")).otherwise(F.col("dist")).alias("dist"), (F.greatest(kept, gift) if combine == "max" else kept + gift).alias("activation"), (~better & (F.coalesce("taken", F.lit(False)) | F.coalesce("now", F.lit(False)))).alias("taken")))
-        full = state.groupBy("query_id", "node_id").agg(F.count(F.lit(1)).alias("need")).join(F.broadcast(need), ["query_id", "need"])
-        if full.groupBy("query_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= k).count() == need.count():
-            break
-    return state
+    raise RuntimeError(f"the search did not end in {max_rounds} rounds")
 
 
 def local_search(matches: DataFrame, edges: DataFrame, nodes: DataFrame, algorithm: str = "bidirectional", k: int = 10, limit: int | None = None, mu: float = 0.5, combine: str = "max", max_cost: float = 1e9, origin_weight: bool = False, per_root: int = 1, lam: float = 0.2) -> DataFrame:

@@ -51,13 +51,14 @@ class Cache:
 
     spark: SparkSession
     path: str
+    buckets: int = 64
     version: int = 0
     held: dict = field(default_factory=dict)
 
     def nodes(self, name: str, ids: DataFrame) -> DataFrame:
         key = (self.version, name)
         if key not in self.held:
-            self.held[key] = read_clusters(self.spark, self.path, ids).persist()
+            self.held[key] = read_clusters(self.spark, self.path, ids, "nodes", self.buckets).persist()
         return self.held[key]
 
     def renew(self) -> None:
