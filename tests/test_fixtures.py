@@ -1,10 +1,11 @@
 """Hand-made graphs with results worked out by hand."""
 
 import pytest
+from conftest import SF
 from pyspark.sql import functions as F
 
 from tuplegraph.functions import scores
-from tuplegraph.operators import activation, answers, bounds, compress, jointree, measure, quotient
+from tuplegraph.operators import activation, answers, bounds, cluster, compress, graph, jointree, measure, quotient
 from tuplegraph.operators.kernels import Adjacency, backward, bidirectional, by_activation, distances, grow, steiner
 from tuplegraph.plans import twophase
 
@@ -177,3 +178,38 @@ def test_clusters_above_one_task_grow_over_every_edge(spark):
     start = spark.createDataFrame([(7, 1.0), (30, 0.9)], "node_id long, activation double")
     whole, parted = ({r.node_id: r.cluster_id for r in cluster.activated(graph, start, 6, parts=n).collect()} for n in (1, 4))
     assert whole == parted
+
+
+def test_similarity_recall(spark):
+    """Nearest vectors against brute force, for the rows whose id is divisible by 20."""
+    import numpy as np
+
+    sf = SF.replace("0.001", "0.01")
+    rows = spark.read.parquet(f"{sf}/embeddings.parquet").collect()
+    ids, x = np.array([r.vec_id for r in rows]), np.array([r.embedding for r in rows], float)
+    asked = np.flatnonzero(ids % 20 == 0)
+    near = x[asked] @ x.T
+    near[np.arange(len(asked)), asked] = -9
+    want = {(ids[q], ids[k]) for q, row in zip(asked, near, strict=True) for k in np.argsort(-row, kind="stable")[:3]}
+    got = {(r.a, r.b) for r in graph.similarity_edges(spark, sf).where("a % 20 = 0").collect()}
+    assert len(got & want) >= 0.9 * len(want)
+
+
+def test_bounds_of_answers(spark):
+    """The DataFrame form gives what the plain form gives, in both modes."""
+    artificial = spark.createDataFrame([("q", 1, 1, ["1>2", "2>3"], [1, 3]), ("q", 2, 4, [], [4])], "query_id string, rnk int, root long, tree array<string>, leaves array<long>")
+    links = spark.createDataFrame([(1, 2, 1.5), (2, 3, 2.0)], "src_c long, dst_c long, least double")
+    per = spark.createDataFrame([(1, 3.0, 0.5), (2, 4.0, 0.25), (3, 5.0, 1.0), (4, 7.0, 2.0)], "cluster_id long, diameter double, min_transit double")
+    roles, wide, cross = {1: True, 2: False, 3: True}, {1: 3.0, 2: 4.0, 3: 5.0, 4: 7.0}, {1: 0.5, 2: 0.25, 3: 1.0, 4: 2.0}
+    for mode in ("sound", "printed"):
+        got = {r.rnk: (r.lower, r.upper) for r in bounds.of_answers(artificial, links, per, mode).collect()}
+        assert got[1] == bounds.bounds([(1, 2, 1.5), (2, 3, 2.0)], roles, wide, cross, mode)
+        assert got[2] == bounds.bounds([], {4: True}, wide, cross, mode)
+
+
+def test_similar_lists_meet_the_threshold(spark):
+    rows = [(1, d) for d in range(10, 20)] + [(2, d) for d in range(10, 19)] + [(3, d) for d in range(10, 15)] + [(4, 50), (5, 50)]
+    nodes = spark.createDataFrame([(k, f"x:{k}", "x", "", 1.0) for k in (*range(1, 6), *range(10, 20), 50)], "node_id long, node_key string, rel string, text string, prestige double")
+    edges = spark.createDataFrame([(a, b, "x", "fwd", 1.0, 1.0) for a, b in rows], "src long, dst long, etype string, direction string, weight double, priority double")
+    got = {r.node_id: r.cluster_id for r in cluster.similar_adjacency(graph.Graph(nodes, edges), 8, tau=0.75, bands=16).collect()}
+    assert got[1] == got[2] == 1 and got[3] == 3 and got[4] == got[5] == 4 and len(got) == 16

@@ -222,7 +222,7 @@ _PATTERN = "concat_ws('', " + ", ".join(f"CASE WHEN embedding[(t * 4 + {k}) % 64
 
 @query(
     "similarity_edges",
-    f"WITH k AS (SELECT vec_id, embedding, t || ':' || {_PATTERN} AS key FROM embeddings, range(12) r(t)), p AS (SELECT DISTINCT a.vec_id AS a, b.vec_id AS b FROM k a JOIN k b USING (key) WHERE a.vec_id <> b.vec_id), w AS (SELECT a, b, greatest(0.001, 1 - list_sum(list_transform(list_zip(x.embedding, y.embedding), lambda z: z[1]::DOUBLE * z[2]::DOUBLE))) AS weight FROM p JOIN embeddings x ON x.vec_id = a JOIN embeddings y ON y.vec_id = b) "
+    f"WITH k AS (SELECT vec_id, embedding, t || ':' || {_PATTERN} AS key FROM embeddings, range(16) r(t)), p AS (SELECT DISTINCT a.vec_id AS a, b.vec_id AS b FROM k a JOIN k b USING (key) WHERE a.vec_id <> b.vec_id), w AS (SELECT a, b, greatest(0.001, 1 - list_sum(list_transform(list_zip(x.embedding, y.embedding), lambda z: z[1]::DOUBLE * z[2]::DOUBLE))) AS weight FROM p JOIN embeddings x ON x.vec_id = a JOIN embeddings y ON y.vec_id = b) "
     "SELECT a, b, round(weight, 6) AS weight FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY weight, b) AS r FROM w) WHERE r <= 3",
 )
 def _(spark, sf):
