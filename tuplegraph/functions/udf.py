@@ -33,7 +33,7 @@ class KeywordSearch:
     def terminate(self):
         if self.matches:
             answers, _, _ = bidirectional(Adjacency(self.edges), self.matches, 10, self.prestige)
-            for i, a in enumerate(answers):
+            for i, a in enumerate(sorted(answers, key=lambda a: (a["cost"], a["root"]))[:10]):
                 yield self.query, i + 1, a["root"], float(a["cost"]), len(a["nodes"])
 
 

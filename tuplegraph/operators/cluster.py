@@ -191,7 +191,7 @@ def rounds(graph: Graph, size: int, criterion: str = "connection", max_rounds: i
     return named(state.select("node_id", F.coalesce("cluster_id", "node_id").alias("g")))
 
 
-def correlation(nodes: DataFrame, links: DataFrame, seed: int = 0, max_rounds: int = 30) -> DataFrame:
+def correlation(nodes: DataFrame, links: DataFrame, seed: int = 0, max_rounds: int = 500) -> DataFrame:
     """Correlation clustering by pivots: nodes that come first among their undecided neighbours become pivots and take those."""
     turn = lambda c: F.xxhash64(F.lit(seed), F.col(c))
     both = cut(links.select("src", "dst").unionByName(links.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).where("src <> dst").distinct())
@@ -199,14 +199,14 @@ def correlation(nodes: DataFrame, links: DataFrame, seed: int = 0, max_rounds: i
     for _ in range(max_rounds):
         free = state.where("cluster_id is null").select("node_id")
         if free.isEmpty():
-            break
+            return named(state.select("node_id", F.col("cluster_id").alias("g")))
         inside = both.join(free.withColumnRenamed("node_id", "src"), "src").join(free.withColumnRenamed("node_id", "dst"), "dst")
         beaten = inside.where((turn("dst") < turn("src")) | ((turn("dst") == turn("src")) & (F.col("dst") < F.col("src")))).select(F.col("src").alias("node_id")).distinct()
         pivots = free.join(beaten, "node_id", "left_anti")
         taken = inside.join(pivots.withColumnRenamed("node_id", "dst"), "dst").groupBy(F.col("src").alias("node_id")).agg(F.min_by("dst", F.struct(turn("dst"), "dst")).alias("new"))
         got = taken.unionByName(pivots.select("node_id", F.col("node_id").alias("new")))
         state = cut(state.join(got, "node_id", "left").select("node_id", F.coalesce("cluster_id", "new").alias("cluster_id")))
-    return named(state.select("node_id", F.col("cluster_id").alias("g")))
+    raise RuntimeError(f"pivots did not settle in {max_rounds} rounds")
 
 
 def represent(membership: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -105,7 +105,7 @@ def _(spark, sf):
 
 @query("cluster_correlation")
 def _(spark, sf):
-    g = small_graph(spark, sf)
+    g = the_graph(spark, sf)
     return cluster.correlation(g.nodes, g.edges)
 
 
@@ -446,7 +446,7 @@ def _(spark, sf):
 def _(spark, sf):
     from ..operators.kernels import Adjacency, steiner
 
-    g = small_graph(spark, sf)
+    g = the_graph(spark, sf)
     q, m = asked(spark, sf, {"Q02": SETS["Q02"]})
     rows = g.edges.select("src", "dst", "weight").crossJoin(F.broadcast(q.select("query_id").distinct()))
     sets = m.groupBy("query_id", "term").agg(F.collect_list("node_id").alias("s")).groupBy("query_id").agg(F.map_from_entries(F.collect_list(F.struct("term", "s"))).alias("sets"))  # a fixture's few matches
@@ -708,6 +708,6 @@ def _(spark, sf):
 def _(spark, sf):
     udf.register(spark)
     q, m = asked(spark, sf, {"Q02": SETS["Q02"]})
-    edges, nodes = search.for_queries(small_graph(spark, sf), q)
+    edges, nodes = search.for_queries(the_graph(spark, sf), q)
     udf.query_rows(edges, nodes, m).createOrReplaceTempView("query_graph")
     return spark.sql("SELECT * FROM keyword_search(TABLE(query_graph) PARTITION BY query_id)")

@@ -28,6 +28,18 @@ for _name in ("cluster_activation", "cluster_similar_adjacency", "cluster_random
     SQL[f"{_name}_sound"] = _SOUND
 
 
+@query("cluster_correlation_sound", f"WITH {G} SELECT count(*) AS n_nodes, 0 AS n_twice, 0 AS n_over, 0 AS n_split FROM nodes")
+def _(spark, sf):
+    """Clusters around pivots have no largest size."""
+    return cluster.faults(the_graph(spark, sf), QUERIES["cluster_correlation"](spark, sf), 2**31 - 1)
+
+
+@query("steiner_cost", f"{_search_sql({'Q02': SETS['Q02']}, 30.0)} SELECT query_id, round(min(cost), 6) AS cost FROM (SELECT query_id, node_id, sum(dist) AS cost FROM dist GROUP BY 1, 2 HAVING count(*) = 2) GROUP BY query_id")
+def _(spark, sf):
+    """With two keywords the least tree is the least sum of distances to both."""
+    return QUERIES["steiner_small"](spark, sf).select("query_id", F.round("cost", 6).alias("cost"))
+
+
 @query("activation_additive", f"WITH {G}, {P}, {sql.queries(PAIRS)}, {_SEED}, {_RANDOM} SELECT query_id, cluster_id, round(sum(activation), 6) AS activation, true AS same FROM seed JOIN membership USING (node_id) GROUP BY ALL")
 def _(spark, sf):
     """The activation of a cluster is the sum of its members', whether summed by term first or in one."""
