@@ -124,7 +124,7 @@ def _(spark, sf):
 
     path = f"{shared_dir(spark)}/degrees-{uuid.uuid4().hex}"
     streams.incremental_edges(spark, streams.events(spark, sf, None), path)
-    return spark.read.parquet(f"{path}/v=0")
+    return streams.newest(spark, path)
 
 
 @query("stream_query_log")
@@ -135,4 +135,4 @@ def _(spark, sf):
     history(spark, sf).write.parquet(f"{path}/in")
     log = spark.readStream.schema("term string, cluster_id long, hits long").parquet(f"{path}/in")
     streams.log_statistics(spark, log, f"{path}/out")
-    return spark.read.parquet(f"{path}/out/v=0")
+    return streams.newest(spark, f"{path}/out")

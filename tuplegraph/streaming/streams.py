@@ -85,24 +85,46 @@ def upsert(spark: SparkSession, path: str, keys: list[str], sums: list[str]):
             old = spark.read.parquet(f"{path}/v={number - 1}")
             new = old.unionByName(new).groupBy(*keys).agg(*[F.sum(c).alias(c) for c in sums])
         new.write.mode("overwrite").parquet(f"{path}/v={number}")
+        if number > 1:  # the version before the last is kept for a batch that is run again
+            removed = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/v={number - 2}")
+            removed.getFileSystem(spark._jsc.hadoopConfiguration()).delete(removed, True)
 
     return run
 
 
+def newest(spark: SparkSession, path: str) -> DataFrame:
+    """The newest version that ``upsert`` has written."""
+    rows = spark.read.parquet(path)
+    return rows.where(F.col("v") == rows.agg(F.max("v")).first()[0]).drop("v")
+
+
+def finished(query, seconds: int = 600) -> None:
+    """Waits for a query over what its source has now; one that does not end is stopped and raises."""
+    if not query.awaitTermination(seconds):
+        query.stop()
+        raise TimeoutError(f"the streaming query did not end within {seconds} seconds")
+
+
 def log_statistics(spark: SparkSession, log: DataFrame, path: str) -> None:
     """Query-log rows (term, cluster_id, hits) into the history that adaptive choice reads."""
-    log.writeStream.foreachBatch(upsert(spark, path, ["term", "cluster_id"], ["hits"])).option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start().awaitTermination(600)
+    finished(log.writeStream.foreachBatch(upsert(spark, path, ["term", "cluster_id"], ["hits"])).option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start())
 
 
 def incremental_edges(spark: SparkSession, rows: DataFrame, path: str) -> None:
     """Degrees of customers from new events, batch by batch."""
-    rows.select("user_id", F.lit(1).cast("long").alias("indeg")).writeStream.foreachBatch(upsert(spark, path, ["user_id"], ["indeg"])).option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start().awaitTermination(600)
+    finished(rows.select("user_id", F.lit(1).cast("long").alias("indeg")).writeStream.foreachBatch(upsert(spark, path, ["user_id"], ["indeg"])).option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start())
 
 
 def drain(rows: DataFrame, mode: str = "complete") -> DataFrame:
-    """All rows of a streaming query over what its source has now."""
+    """All rows of a streaming query over what its source has now, by way of files in the shared folder, a folder a batch."""
     spark = rows.sparkSession
-    name = f"t{uuid.uuid4().hex}"
-    query = rows.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/{name}").trigger(availableNow=True).start()
-    query.awaitTermination(600)
-    return spark.table(name)
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/v={number}")
+
+    finished(rows.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start())
+    root = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/rows")
+    if not root.getFileSystem(spark._jsc.hadoopConfiguration()).exists(root):
+        return spark.createDataFrame([], rows.schema)
+    return newest(spark, f"{path}/rows") if mode == "complete" else spark.read.parquet(f"{path}/rows").drop("v")
