@@ -1,5 +1,8 @@
 """Hand-made graphs with results worked out by hand."""
 
+import itertools
+
+import numpy as np
 import pytest
 from conftest import SF
 from pyspark.sql import functions as F
@@ -182,8 +185,6 @@ def test_clusters_above_one_task_grow_over_every_edge(spark):
 
 def test_similarity_recall(spark):
     """Nearest vectors against brute force, for the rows whose id is divisible by 20."""
-    import numpy as np
-
     sf = SF.replace("0.001", "0.01")
     rows = spark.read.parquet(f"{sf}/embeddings.parquet").collect()
     ids, x = np.array([r.vec_id for r in rows]), np.array([r.embedding for r in rows], float)
@@ -213,3 +214,30 @@ def test_similar_lists_meet_the_threshold(spark):
     edges = spark.createDataFrame([(a, b, "x", "fwd", 1.0, 1.0) for a, b in rows], "src long, dst long, etype string, direction string, weight double, priority double")
     got = {r.node_id: r.cluster_id for r in cluster.similar_adjacency(graph.Graph(nodes, edges), 8, tau=0.75, bands=16).collect()}
     assert got[1] == got[2] == 1 and got[3] == 3 and got[4] == got[5] == 4 and len(got) == 16
+
+
+def test_arborescence_is_least():
+    """Against all ways of giving each node a parent; small whole costs make ties and cycles."""
+    rng = np.random.default_rng(5)
+    for _ in range(200):
+        n = int(rng.integers(2, 6))
+        cost = rng.integers(1, 9, (n, n))
+
+        def rooted(parent):
+            for v in range(1, n):
+                for _ in range(n):
+                    v = parent[v - 1] if v else 0
+                if v:
+                    return False
+            return True
+
+        total = lambda parent: sum(cost[p, v + 1] for v, p in enumerate(parent))
+        best = min(total(p) for p in itertools.product(range(n), repeat=n - 1) if rooted(p))
+        got = compress.arborescence(cost)[1:].tolist()
+        assert rooted(got) and total(got) == best
+
+
+def test_choice_of_reference(spark):
+    lists = spark.createDataFrame([(1, [10, 11, 12]), (2, [10, 11, 12, 13]), (3, [50]), (4, [10, 11, 12, 13, 14])], "node_id long, targets array<long>")
+    got = {r.node_id: (r.ref_id, r.bits) for r in compress.choose_reference(lists, lists.selectExpr("node_id", "1L AS cluster_id")).collect()}
+    assert got == {1: (None, 96), 2: (1, 35), 3: (None, 32), 4: (2, 36)}

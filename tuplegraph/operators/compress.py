@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import heapq
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -84,6 +85,42 @@ def reference_sizes(lists: DataFrame, pairs: DataFrame) -> DataFrame:
     return pairs.join(own, "node_id").join(other, "ref_id").select("node_id", "ref_id", F.size(F.array_intersect("targets", "reference")).cast("long").alias("n_shared"), F.size(F.array_except("targets", "reference")).cast("long").alias("n_extra"))
 
 
+def arborescence(cost: np.ndarray) -> np.ndarray:
+    """The parent of each node in the least directed tree out of node 0; ``cost[v, u]`` is of the edge from v to u.
+
+    Every node takes its cheapest parent; while that makes a cycle, the cycle becomes one node, into which an edge costs
+    what it adds to the cycle's own edge that it replaces. Ties go to the lower number, so to node 0 first.
+    """
+    cost = cost.astype(float)
+    np.fill_diagonal(cost, np.inf)
+    cost[:, 0] = np.inf
+    parent = cost.argmin(axis=0)
+    parent[0] = 0
+    seen, cycle = np.zeros(len(cost), int), []
+    for start in range(1, len(cost)):
+        v = start
+        while v and not seen[v]:
+            seen[v], v = start, parent[v]
+        if v and seen[v] == start:
+            cycle = [v]
+            while parent[cycle[-1]] != v:
+                cycle.append(parent[cycle[-1]])
+            break
+    if not cycle:
+        return parent
+    rest = np.setdiff1d(np.arange(len(cost)), cycle)
+    m = len(rest)
+    into = cost[np.ix_(rest, cycle)] - cost[parent[cycle], cycle]
+    out = cost[np.ix_(cycle, rest)]
+    small = np.full((m + 1, m + 1), np.inf)
+    small[:m, :m], small[:m, m], small[m, :m] = cost[np.ix_(rest, rest)], into.min(axis=1), out.min(axis=0)
+    above, leave = arborescence(small), out.argmin(axis=0)
+    for k in range(1, m):
+        parent[rest[k]] = cycle[leave[k]] if above[k] == m else rest[above[k]]
+    parent[cycle[into[above[m]].argmin()]] = rest[above[m]]
+    return parent
+
+
 def choose_reference(lists: DataFrame, membership: DataFrame, id_bits: int = 32) -> DataFrame:
     """(node_id, ref_id or null, bits): references inside each cluster by a least spanning arborescence of coding costs.
 
@@ -92,21 +129,17 @@ def choose_reference(lists: DataFrame, membership: DataFrame, id_bits: int = 32)
     """
 
     def one(frame: pd.DataFrame) -> pd.DataFrame:
-        own = {v: set(t) for v, t in zip(frame.node_id, frame.targets, strict=True)}
-        size = {v: len(t) for v, t in zip(frame.node_id, frame.targets, strict=True)}
-        alone = {v: id_bits * size[v] for v in own}
-        # Prim-like growth from the virtual root: the cheapest next list, alone or against a list that is already coded.
-        best = {v: (alone[v], None) for v in own}
-        out, left = [], set(own)
-        while left:
-            v = min(left, key=lambda x: (best[x][0], x))
-            left.discard(v)
-            out.append((v, best[v][1], best[v][0]))
-            for u in left:
-                cost = size[v] + id_bits * len(own[u] - own[v])
-                if cost < best[u][0]:
-                    best[u] = (cost, v)
-        return pd.DataFrame(out, columns=["node_id", "ref_id", "bits"]).astype({"ref_id": "Int64"})
+        frame = frame.sort_values("node_id")
+        own = [set(t) for t in frame.targets]
+        n = len(own)
+        cost = np.zeros((n + 1, n + 1))
+        cost[0, 1:] = [id_bits * len(t) for t in own]
+        for v in range(n):
+            cost[v + 1, 1:] = [len(own[v]) + id_bits * len(t - own[v]) for t in own]
+        parent = arborescence(cost)[1:]
+        ids = frame.node_id.to_numpy()
+        out = pd.DataFrame({"node_id": ids, "ref_id": [None if p == 0 else int(ids[p - 1]) for p in parent], "bits": cost[parent, np.arange(1, n + 1)].astype("int64")})
+        return out.astype({"ref_id": "Int64"})
 
     rows = lists.select("node_id", "targets").join(membership, "node_id")
     return rows.groupBy("cluster_id").applyInPandas(one, "node_id long, ref_id long, bits long")

@@ -142,12 +142,12 @@ def build(spark: SparkSession, sf_dir: str, back_weight: str = "log_indegree", s
 
 
 def link_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(node_key, l_orderkey, l_partkey, l_suppkey) of the link relation kept as nodes; its key columns do not suffice, so a
+    """(node_key, l_orderkey, l_partkey, l_suppkey, text) of the link relation kept as nodes; its key columns do not suffice, so a
     number over the other columns tells equal ones apart."""
     lines = table(spark, sf_dir, LINK.name)
     rest = [c for c in lines.columns if c not in LINK.key]
     number = F.row_number().over(Window.partitionBy(*LINK.key).orderBy(*rest))
-    return lines.withColumn("n", number).select(node_key("lineitem", *[F.col(k) for k in LINK.key], F.col("n")).alias("node_key"), "l_orderkey", "l_partkey", "l_suppkey")
+    return lines.withColumn("n", number).select(node_key("lineitem", *[F.col(k) for k in LINK.key], F.col("n")).alias("node_key"), "l_orderkey", "l_partkey", "l_suppkey", F.concat_ws(" ", "l_returnflag", "l_linestatus").alias("text"))
 
 
 def uncontracted_references(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -224,6 +224,22 @@ def objectify(spark: SparkSession, sf_dir: str) -> DataFrame:
     return orders.select(node_key("orders", F.col("o_orderkey")).alias("node_key"), *[F.coalesce(c, F.lit(0)).alias(c) for c in ("n_lines", "n_parts", "n_suppliers")])
 
 
+def fold(nodes: DataFrame, edges: DataFrame, owners: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(node_key, n_folded, text) and (src_key, dst_key, n_links): nodes that have an owner become part of its object.
+
+    nodes (node_key, text); edges (src_key, dst_key); owners (node_key, owner_key). An object's text is the set of its
+    members' texts; edges inside an object go, parallel ones are counted.
+    """
+    owned = owners.select(F.col("node_key").alias("member"), "owner_key")
+    named = nodes.join(owned, F.col("node_key") == F.col("member"), "left").select(F.coalesce("owner_key", "node_key").alias("node_key"), "text")
+    sizes = named.groupBy("node_key").agg((F.count(F.lit(1)) - 1).alias("n_folded"))
+    texts = named.distinct().groupBy("node_key").agg(F.array_join(F.array_sort(F.collect_list("text")), " | ").alias("text"))
+    for end in ("src_key", "dst_key"):
+        edges = edges.join(owned, F.col(end) == F.col("member"), "left").withColumn(end, F.coalesce("owner_key", end)).drop("member", "owner_key")
+    links = edges.where("src_key <> dst_key").groupBy("src_key", "dst_key").agg(F.count(F.lit(1)).alias("n_links"))
+    return sizes.join(texts, "node_key"), links
+
+
 def hub_report(nodes: DataFrame) -> DataFrame:
     """In-degree by relation: nodes, largest, mean, median."""
     return nodes.groupBy("rel").agg(F.count(F.lit(1)).alias("n_nodes"), F.max("indeg").alias("max_indeg"), F.round(F.avg("indeg"), 6).alias("avg_indeg"), F.percentile("indeg", 0.5).alias("median_indeg"))

@@ -98,20 +98,22 @@ def backward_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, max_co
     return paths(found, next_hops(graph.edges, dist))
 
 
-def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k: int = 10, batch: int = 64, mu: float = 0.5, combine: str = "max", max_rounds: int = 500, slack: float = 1e-9) -> DataFrame:
+def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k: int = 10, batch: int = 64, mu: float = 0.5, combine: str = "max", max_rounds: int = 500, slack: float = 1e-9, allowed: tuple[str, ...] | None = None) -> DataFrame:
     """(query_id, term, node_id, dist, activation, taken): bidirectional search in rounds, exact for the ``k`` cheapest roots.
 
     The most activated nodes that are open pass on distance and activation against their in-edges, and take distances
     along their out-edges from neighbours that have one. A node whose distance improves is open again, so improvements
     reach what depends on it. A way through an open node costs its distance and one edge at least, so a node stays closed
     once that is more than the query's k-th cheapest root so far; the search ends when nothing is left. The batch doubles
-    each round, so the number of rounds does not follow the size of the origin sets.
+    each round, so the number of rounds does not follow the size of the origin sets. ``allowed`` restricts edge types; an
+    edge's priority multiplies its share of the activation.
     """
     from . import activation
 
-    links = cut(graph.edges.groupBy("src", "dst").agg(F.min("weight").alias("w")))
+    every = graph.edges if allowed is None else graph.edges.where(F.col("etype").isin(list(allowed)))
+    links = cut(every.groupBy("src", "dst").agg(F.min("weight").alias("w")))
     least = links.agg(F.min("w")).first()[0] or 0.0
-    inward = cut(activation.shares(graph.edges, "in").withColumnRenamed("share", "s"))
+    inward = cut(activation.shares(every, "in").withColumnRenamed("share", "s"))
     seeded = activation.seed(complete(matches, queries), graph.nodes)
     state = cut(seeded.select("query_id", "term", "node_id", F.lit(0.0).alias("dist"), "activation", F.lit(False).alias("taken")))
     keys, how = ["query_id", "term", "node_id"], F.max if combine == "max" else F.sum

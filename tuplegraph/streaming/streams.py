@@ -19,9 +19,9 @@ from ..session import prepare, shared_dir
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def events(spark: SparkSession, sf_dir: str, delay: str | None = "1 hour") -> DataFrame:
-    """The events table as a file stream, with a watermark on ``ts``."""
-    rows = prepare(spark).readStream.schema(SCHEMA).option("pathGlobFilter", "events.parquet").parquet(sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
+def events(spark: SparkSession, sf_dir: str, delay: str | None = "1 hour", files: str = "events.parquet") -> DataFrame:
+    """The events table, ``files`` of a folder, as a file stream, with a watermark on ``ts``."""
+    rows = prepare(spark).readStream.schema(SCHEMA).option("pathGlobFilter", files).parquet(sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
     return rows.withWatermark("ts", delay) if delay else rows
 
 
@@ -60,20 +60,31 @@ def unique(rows: DataFrame, columns: list[str]) -> DataFrame:
     return rows.dropDuplicatesWithinWatermark(columns)
 
 
-def decayed(rows: DataFrame, half_life: float = 86400.0) -> DataFrame:
-    """(user_id, n, activation): per-user activation that halves every ``half_life`` seconds, kept as state."""
+def decayed(rows: DataFrame, half_life: float = 86400.0, idle: float | None = None) -> DataFrame:
+    """(user_id, n, activation): per-user activation that halves every ``half_life`` seconds, kept as state.
+
+    ``idle``: a user without events for so many seconds starts anew, and a timer on event time removes the state once the
+    watermark has passed; rows behind the watermark are dropped then.
+    """
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         level, last, n = state.get if state.exists else (0.0, 0.0, 0)
-        frame = pd.concat(list(parts)).sort_values(["ts", "event_id"]) if not state.hasTimedOut else pd.DataFrame(columns=["ts", "value"])
-        for t in frame.ts:
-            now = t.timestamp()
+        for now in pd.concat(list(parts)).sort_values(["at", "event_id"])["at"]:
+            if idle is not None and n and now - last > idle:
+                n = 0
             level = level * 0.5 ** (max(0.0, now - last) / half_life) + 1.0 if n else 1.0
             last, n = now, n + 1
         state.update((level, last, n))
+        if idle is not None:
+            state.setTimeoutTimestamp(max(int((last + idle) * 1000), state.getCurrentWatermarkMs()) + 1)
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "activation": [level]})
 
-    return rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, activation double", "level double, last double, n long", "update", GroupStateTimeout.NoTimeout)
+    timer = GroupStateTimeout.NoTimeout if idle is None else GroupStateTimeout.EventTimeTimeout
+    timed = rows.select("user_id", "event_id", "ts", (F.unix_micros("ts") / 1e6).alias("at"))
+    return timed.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, activation double", "level double, last double, n long", "update", timer)
 
 
 def upsert(spark: SparkSession, path: str, keys: list[str], sums: list[str]):
@@ -128,3 +139,19 @@ def drain(rows: DataFrame, mode: str = "complete") -> DataFrame:
     if not root.getFileSystem(spark._jsc.hadoopConfiguration()).exists(root):
         return spark.createDataFrame([], rows.schema)
     return newest(spark, f"{path}/rows") if mode == "complete" else spark.read.parquet(f"{path}/rows").drop("v")
+
+
+def deliver(rows: DataFrame, path: str) -> int:
+    """Runs a stateful query over what its source has now, into ``path``; how many rows came behind the watermark and were
+    dropped. Run again on the same ``path``, it goes on from its checkpoint."""
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/v={number}")
+
+    query = rows.writeStream.foreachBatch(keep).outputMode("append").option("checkpointLocation", f"{path}/_checkpoint").trigger(availableNow=True).start()
+    finished(query)
+    reports = query.recentProgress
+    ids = [p.batchId for p in reports]
+    if ids and len(set(ids)) >= int(rows.sparkSession.conf.get("spark.sql.streaming.numRecentProgressUpdates", "100")):
+        raise RuntimeError("the query had more batches than it keeps reports of")
+    return sum(o.numRowsDroppedByWatermark for p in reports for o in p.stateOperators)
