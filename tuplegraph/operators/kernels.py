@@ -125,7 +125,7 @@ def bidirectional(graph: Adjacency, matches: dict, k: int, prestige: dict, mu: f
             (minimal.add if None in ways or len(ways) > 1 else minimal.discard)(v)
 
     def improve(t, v, cost, nxt):
-        """A shorter way to a term; nodes that depend on v follow."""
+        """A shorter way to a term; it goes on over every edge that was explored from either end, or leads to a known node."""
         stack = [(v, cost, nxt)]
         while stack:
             x, c, n = stack.pop()
@@ -134,7 +134,8 @@ def bidirectional(graph: Adjacency, matches: dict, k: int, prestige: dict, mu: f
             dist[t][x], way[t][x] = c, n
             settle(x)
             for u, w in graph.into[x]:
-                if u in dist[t] and c + w < dist[t][u] - 1e-12:
+                seen = u in dist[t] or x in popped["in"] or u in popped["out"]
+                if seen and c + w < dist[t].get(u, float("inf")) - 1e-12:
                     stack.append((u, c + w, x))
 
     for t in terms:
