@@ -161,6 +161,37 @@ def test_bidirectional_rounds_reach_exact_costs(spark):
     assert {(r.term, r.node_id): r.dist for r in got} == {(t, v): c for t in exact for v, c in exact[t].items()}
 
 
+def test_answers_in_rounds_are_the_cheapest_trees(spark):
+    from tuplegraph.operators import search
+    from tuplegraph.operators.graph import Graph
+
+    rng = np.random.default_rng(5)
+    links = [(a, int(b), float(w)) for a in range(30) for b, w in zip(rng.choice(30, 3, replace=False), rng.uniform(1, 2, 3)) if a != b]
+    sets = {"p": {"x": {1, 2}, "y": {7, 9}, "z": {20}}, "q": {"x": {4}, "y": {4, 11}}, "none": {"x": {3}, "y": {99}}}
+    edges = spark.createDataFrame(links, "src long, dst long, weight double")
+    nodes = spark.createDataFrame([(n, 1.0 + n % 4) for n in range(30)] + [(99, 1.0)], "node_id long, prestige double")
+    matches = spark.createDataFrame([(q, t, n) for q, terms in sets.items() for t, ids in terms.items() for n in ids], "query_id string, term string, node_id long")
+    queries = matches.select("query_id", "term").distinct()
+    graph = Graph(nodes, edges)
+    rows = lambda df: {(r.query_id, r.root): (tuple(r.leaves), frozenset(r.tree), r.n_nodes, r.n_edges, round(r.node_score, 9), round(r.edge_score, 9), round(r.tree_score, 9), r.rnk) for r in df.collect()}
+    every = rows(search.whole_search(graph, matches, queries, k=10**6))
+    assert len({q for q, _ in every}) == 2 and len(every) > 20
+    assert rows(search.whole_search(graph, matches, queries, k=10**6, rows=0)) == every
+    # each query's own graph, one query above the bound and the others not
+    own, ids = search.for_queries(graph, queries)
+    more = ids.unionByName(spark.range(1000, 2000).selectExpr("'p' AS query_id", "id AS node_id", "1D AS prestige"))
+    assert rows(search.local_search(matches, own, more, k=10**6, rows=500)) == every
+    g = Adjacency(links)
+    few = rows(search.whole_search(graph, matches, queries, k=3, rows=0))
+    for q in ("p", "q"):
+        exact = [distances(g, ids)[0] for ids in sets[q].values()]
+        best = sorted((sum(d[r] for d in exact), r) for p, r in every if p == q)[:3]
+        assert {r for p, r in few if p == q} == {r for _, r in best}
+        assert all(few[q, r][:7] == every[q, r][:7] for _, r in best)
+    with pytest.raises(ValueError):
+        search.whole_search(graph, matches, queries, rows=0, per_root=2)
+
+
 def test_clusters_above_one_task_grow_over_every_edge(spark):
     from tuplegraph.operators import cluster
     from tuplegraph.operators.graph import Graph

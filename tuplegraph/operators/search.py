@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.scores import edge_score, node_score, tree_score
 from ..plans.loop import cut
 from ..session import prepare
 from .graph import Graph
@@ -140,22 +141,86 @@ def bidirectional_rounds(graph: Graph, matches: DataFrame, queries: DataFrame, k
     raise RuntimeError(f"the search did not end in {max_rounds} rounds")
 
 
-def local_search(matches: DataFrame, edges: DataFrame, nodes: DataFrame, algorithm: str = "bidirectional", k: int = 10, limit: int | None = None, mu: float = 0.5, combine: str = "max", max_cost: float = 1e9, origin_weight: bool = False, per_root: int = 1, lam: float = 0.2) -> DataFrame:
-    """Search in one task a query: (query_id, rnk, root, leaves, tree, n_nodes, n_edges, node_score, edge_score, tree_score, touched, explored).
+def _cheapest(state: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+    """(query_id, root, cost): the k cheapest roots whose ways begin with two edges or that hold a keyword themselves."""
+    one = F.count(F.lit(1)).alias("n")
+    sums = state.groupBy("query_id", F.col("node_id").alias("root")).agg(one, F.sum("dist").alias("cost"), F.count("way").alias("going"), F.min("way").alias("first"), F.max("way").alias("last"))
+    whole = sums.join(F.broadcast(wanted), ["query_id", "n"]).where((F.col("going") < F.col("n")) | (F.col("first") != F.col("last"))).withColumn("cost", F.round("cost", 6))
+    order = Window.partitionBy("query_id").orderBy("cost", "root")
+    return whole.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).select("query_id", "root", "cost")
+
+
+def cheapest_answers(matches: DataFrame, edges: DataFrame, nodes: DataFrame, k: int = 10, max_cost: float = 1e9, lam: float = 0.2, max_rounds: int = 500, slack: float = 1e-9) -> DataFrame:
+    """The columns of ``local_search``, in rounds of joins over graphs of any size: the trees of the k cheapest roots, exactly.
+
+    ``edges`` and ``nodes`` hold one graph for all queries, or with a query_id each query's own. A round passes the
+    distances of the open nodes on against their in-edges and keeps with each the edge it came by. A node waits while its
+    distance and one edge more are above its query's k-th cheapest root, and the search ends when all others are closed.
+    Touched are the nodes with a distance, explored those that passed one on.
+    """
+    own = ["query_id"] if "query_id" in edges.columns else []
+    keys = ["query_id", "term", "node_id"]
+    links = cut(edges.groupBy(*own, "src", "dst").agg(F.min("weight").alias("w")))
+    least = links.agg(F.min("w")).first()[0] or 0.0
+    wanted = cut(matches.groupBy("query_id").agg(F.count_distinct("term").alias("n")))
+    start = matches.select(*keys).distinct()
+    state = cut(start.select(*keys, F.lit(0.0).alias("dist"), F.lit(None).cast("long").alias("way"), F.lit(True).alias("open"), F.lit(False).alias("taken")))
+    for _ in range(max_rounds):
+        kth = _cheapest(state, wanted, k).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"), F.max("cost").alias("kth")).where(F.col("n") >= k).select("query_id", "kth")
+        near = F.col("dist") + least <= F.coalesce("kth", F.lit(max_cost)) + slack
+        picked = cut(state.where("open").join(F.broadcast(kth), "query_id", "left").where(near).select(*keys, "dist"))
+        if picked.isEmpty():
+            break
+        offer = (F.col("dist") + F.col("w")).alias("offer")
+        offers = picked.withColumnRenamed("node_id", "dst").join(links, [*own, "dst"]).select("query_id", "term", F.col("src").alias("node_id"), offer, F.col("dst").alias("by"))
+        offers = offers.where(F.col("offer") <= max_cost + slack).groupBy(*keys).agg(F.min(F.struct("offer", "by")).alias("o"))
+        merged = state.join(offers, keys, "full_outer").join(picked.select(*keys, F.lit(True).alias("now")), keys, "left")
+        better = F.col("o").isNotNull() & (F.col("dist").isNull() | (F.col("o.offer") < F.col("dist") - slack))
+        waits = F.coalesce("open", F.lit(False)) & F.col("now").isNull()
+        took = F.coalesce("taken", F.lit(False)) | F.col("now").isNotNull()
+        state = cut(merged.select(*keys, F.when(better, F.col("o.offer")).otherwise(F.col("dist")).alias("dist"), F.when(better, F.col("o.by")).otherwise(F.col("way")).alias("way"), (better | waits).alias("open"), took.alias("taken")))
+    else:
+        raise RuntimeError(f"the search did not end in {max_rounds} rounds")
+    found = cut(_cheapest(state, wanted, k))
+    ways = cut(paths(found, state.select(*keys, F.col("way").alias("next_id"))))
+    weights = links.groupBy("src", "dst").agg(F.min("w").alias("w"))
+    prestige = nodes.select("node_id", "prestige").distinct()
+    steps = ways.where("src <> dst").select("query_id", "root", "src", "dst").distinct().join(weights, ["src", "dst"])
+    trees = steps.groupBy("query_id", "root").agg(F.array_sort(F.collect_list(F.struct("src", "dst"))).alias("e"), F.sum("w").alias("total"))
+    ends = ways.where("src = dst").select("query_id", "root", "term", F.col("src").alias("node_id")).join(prestige, "node_id")
+    held = ends.groupBy("query_id", "root").agg(F.array_sort(F.collect_list(F.struct("term", "node_id"))).alias("held"), F.collect_set(F.struct("node_id", "prestige")).alias("leaf"))
+    out = held.join(trees, ["query_id", "root"], "left").join(prestige.withColumnsRenamed({"node_id": "root", "prestige": "root_weight"}), "root")
+    tree = F.coalesce(F.transform("e", lambda x: F.concat_ws(">", x.src.cast("string"), x.dst.cast("string"))), F.array().cast("array<string>"))
+    members = F.coalesce(F.size(F.array_distinct(F.concat("e.src", "e.dst"))), F.lit(1))
+    leaf = F.aggregate(F.array_sort("leaf"), F.lit(0.0), lambda a, x: a + x.prestige)
+    out = out.select("query_id", "root", F.col("held.node_id").alias("leaves"), tree.alias("tree"), members.alias("n_nodes"), node_score(F.col("root_weight"), leaf, F.col("e").isNull()).alias("node_score"), edge_score(F.coalesce("total", F.lit(0.0))).alias("edge_score"))
+    out = out.withColumn("tree_score", F.when(F.col("node_score") == 0, 0.0).otherwise(tree_score(F.col("edge_score"), F.col("node_score"), lam=lam)))
+    work = state.groupBy("query_id", "node_id").agg(F.max("taken").alias("t")).groupBy("query_id").agg(F.count(F.lit(1)).alias("touched"), F.count_if("t").alias("explored"))
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc(F.round("tree_score", 9)), "root")).cast("int").alias("rnk")
+    return out.join(F.broadcast(work), "query_id").select("query_id", rank, "root", "leaves", "tree", "n_nodes", F.size("tree").alias("n_edges"), "node_score", "edge_score", "tree_score", "touched", "explored")
+
+
+def local_search(matches: DataFrame, edges: DataFrame, nodes: DataFrame, algorithm: str = "bidirectional", k: int = 10, limit: int | None = None, mu: float = 0.5, combine: str = "max", max_cost: float = 1e9, origin_weight: bool = False, per_root: int = 1, lam: float = 0.2, rows: int = LOCAL_ROWS) -> DataFrame:
+    """Search each query's own graph in one task: (query_id, rnk, root, leaves, tree, n_nodes, n_edges, node_score, edge_score, tree_score, touched, explored).
 
     ``edges`` (query_id, src, dst, weight) and ``nodes`` (query_id, node_id, prestige) hold the query's own graph. Its size
-    is counted first: a query above LOCAL_ROWS must be searched in rounds.
+    is counted first: queries above ``rows`` are searched by ``cheapest_answers``, which takes no start costs and gives one
+    tree a root.
     """
     spark = prepare(edges.sparkSession)
     empty = F.lit(None)
-    rows = (
+    parts = (
         edges.select("query_id", F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.col("weight").alias("x"), empty.cast("string").alias("term"))
         .unionByName(nodes.select("query_id", F.lit("n").alias("kind"), F.col("node_id").alias("a"), F.lit(0).cast("long").alias("b"), F.col("prestige").alias("x"), empty.cast("string").alias("term")))
         .unionByName(matches.select("query_id", F.lit("m").alias("kind"), F.col("node_id").alias("a"), F.lit(0).cast("long").alias("b"), F.lit(0.0).alias("x"), "term"))
     )
-    largest = rows.groupBy("query_id").count().agg(F.max("count")).first()[0] or 0
-    if largest > LOCAL_ROWS:
-        raise ValueError(f"a query's graph has {largest} rows; search it in rounds")
+    large = cut(parts.groupBy("query_id").count().where(F.col("count") > rows).select("query_id"))
+    beyond = None
+    if not large.isEmpty():
+        _in_rounds(origin_weight, per_root)
+        mine = lambda df: df.join(F.broadcast(large), "query_id", "left_semi")
+        beyond = cheapest_answers(mine(matches), mine(edges), mine(nodes), limit or k, max_cost, lam)
+        parts = parts.join(F.broadcast(large), "query_id", "left_anti")
     names = ["query_id", "rnk", "root", "leaves", "tree", "n_nodes", "n_edges", "node_score", "edge_score", "tree_score", "touched", "explored"]
 
     def one(key, frame: pd.DataFrame) -> pd.DataFrame:
@@ -184,7 +249,22 @@ def local_search(matches: DataFrame, edges: DataFrame, nodes: DataFrame, algorit
 
     schema = "query_id string, rnk int, root long, leaves array<long>, tree array<string>, n_nodes int, n_edges int, node_score double, edge_score double, tree_score double, touched long, explored long"
     spark.conf.set("spark.sql.execution.arrow.pyspark.enabled", "true")
-    return rows.groupBy("query_id").applyInPandas(one, schema)
+    found = parts.groupBy("query_id").applyInPandas(one, schema)
+    return found if beyond is None else found.unionByName(beyond)
+
+
+def _in_rounds(origin_weight: bool, per_root: int) -> None:
+    if origin_weight or per_root > 1:
+        raise ValueError("a graph above one task takes no start costs and gives one tree a root")
+
+
+def whole_search(graph: Graph, matches: DataFrame, queries: DataFrame, algorithm: str = "bidirectional", rows: int = LOCAL_ROWS, **options) -> DataFrame:
+    """``local_search`` of one graph for all queries. Above ``rows`` the queries share rounds, and the graph is not copied."""
+    if graph.edges.count() + graph.nodes.count() > rows:
+        _in_rounds(options.get("origin_weight", False), options.get("per_root", 1))
+        return cheapest_answers(matches, graph.edges, graph.nodes, options.get("limit") or options.get("k", 10), options.get("max_cost", 1e9), options.get("lam", 0.2))
+    edges, nodes = for_queries(graph, queries)
+    return local_search(matches, edges, nodes, algorithm, rows=rows, **options)
 
 
 def for_queries(graph: Graph, queries: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -453,8 +453,7 @@ def _(spark, sf):
 def _local(spark, sf, algorithm, sets=PAIRS, **options):
     g = the_graph(spark, sf)
     q, m = asked(spark, sf, sets)
-    edges, nodes = search.for_queries(g, q)
-    return search.local_search(index.complete(m, q), edges, nodes, algorithm, **options)
+    return search.whole_search(g, index.complete(m, q), q, algorithm, **options)
 
 
 @query("bidirectional_topk")

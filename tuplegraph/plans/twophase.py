@@ -23,8 +23,7 @@ def cluster_matches(matches: DataFrame, membership: DataFrame) -> DataFrame:
 
 def phase1(small: Graph, matches: DataFrame, membership: DataFrame, queries: DataFrame, limit: int = LIMIT, algorithm: str = "bidirectional") -> DataFrame:
     """Up to ``limit`` artificial answers of each query."""
-    edges, nodes = search.for_queries(small, queries)
-    return search.local_search(cluster_matches(matches, membership), edges, nodes, algorithm, k=limit, limit=limit)
+    return search.whole_search(small, cluster_matches(matches, membership), queries, algorithm, k=limit, limit=limit)
 
 
 def clusters_of(answers: DataFrame) -> DataFrame:
@@ -135,8 +134,7 @@ def iterate_mixed(graph: Graph, membership: DataFrame, matches: DataFrame, queri
         ids = expanded.withColumn("open", F.lit(True))
         at = membership.join(ids, "cluster_id", "left").select("node_id", F.when(F.col("open"), F.col("node_id")).otherwise(F.col("cluster_id")).alias("place"))
         own = matches.join(at, "node_id").select("query_id", "term", F.col("place").alias("node_id")).distinct()
-        edges, nodes = search.for_queries(small, queries)
-        answers = cut(search.local_search(own, edges, nodes, "bidirectional", k=k))
+        answers = cut(search.whole_search(small, own, queries, k=k))
         seen = clusters_of(answers).select("cluster_id").distinct().join(membership.select("cluster_id").distinct(), "cluster_id", "left_semi")
         new = cut(expanded.select("cluster_id").union(seen).distinct())
         if new.join(expanded, "cluster_id", "left_anti").isEmpty():
