@@ -126,9 +126,9 @@ def bidirectional(graph: Adjacency, matches: dict, k: int, prestige: dict, mu: f
 
     def improve(t, v, cost, nxt):
         """A shorter way to a term; it goes on over every edge that was explored from either end, or leads to a known node."""
-        stack = [(v, cost, nxt)]
-        while stack:
-            x, c, n = stack.pop()
+        heap = [(cost, v, nxt)]  # least first, so that a node improves once in a call
+        while heap:
+            c, x, n = heapq.heappop(heap)
             if c >= dist[t].get(x, float("inf")) - 1e-12:
                 continue
             dist[t][x], way[t][x] = c, n
@@ -136,7 +136,7 @@ def bidirectional(graph: Adjacency, matches: dict, k: int, prestige: dict, mu: f
             for u, w in graph.into[x]:
                 seen = u in dist[t] or x in popped["in"] or u in popped["out"]
                 if seen and c + w < dist[t].get(u, float("inf")) - 1e-12:
-                    stack.append((u, c + w, x))
+                    heapq.heappush(heap, (c + w, u, x))
 
     for t in terms:
         for o in sorted(matches[t]):
