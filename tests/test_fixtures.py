@@ -272,3 +272,19 @@ def test_choice_of_reference(spark):
     lists = spark.createDataFrame([(1, [10, 11, 12]), (2, [10, 11, 12, 13]), (3, [50]), (4, [10, 11, 12, 13, 14])], "node_id long, targets array<long>")
     got = {r.node_id: (r.ref_id, r.bits) for r in compress.choose_reference(lists, lists.selectExpr("node_id", "1L AS cluster_id")).collect()}
     assert got == {1: (None, 96), 2: (1, 35), 3: (None, 32), 4: (2, 36)}
+
+
+def test_rounds_leave_no_old_states(spark, tmp_path):
+    """Of a search in rounds only the stored edges and the last state stay in the shared folder."""
+    from pathlib import Path
+
+    from tuplegraph.operators import search
+    from tuplegraph.session import shared_dir
+
+    home = Path(shared_dir(spark).removeprefix("file:"))
+    before = set(home.iterdir())
+    edges = spark.createDataFrame([(v, v + 1, "x", 1.0) for v in range(6)], "src long, dst long, etype string, weight double")
+    matches = spark.createDataFrame([("q", "t", 6)], "query_id string, term string, node_id long")
+    got = search.keyword_distances(edges, matches, 9.0)
+    assert {r.node_id: r.dist for r in got.collect()} == {v: 6.0 - v for v in range(7)}
+    assert len(set(home.iterdir()) - before) == 2

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.scores import LAMBDA, edge_score, node_score, tree_score
+from ..plans.loop import cut, few
 
 
 def assemble(ways: DataFrame, graph_edges: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -13,8 +14,8 @@ def assemble(ways: DataFrame, graph_edges: DataFrame, nodes: DataFrame) -> DataF
 
     Shared edges count once. leaves are the distinct ends of the ways; tree holds ``src>dst`` of each edge in order.
     """
-    links = graph_edges.groupBy("src", "dst").agg(F.min("weight").alias("w"))
-    real = ways.where("src <> dst").select("query_id", "root", "src", "dst").distinct().join(links, ["src", "dst"])
+    steps = cut(ways.where("src <> dst").select("query_id", "root", "src", "dst").distinct())
+    real = few(steps).join(graph_edges.select("src", "dst", "weight"), ["src", "dst"]).groupBy("query_id", "root", "src", "dst").agg(F.min("weight").alias("w"))
     trees = real.groupBy("query_id", "root").agg(
         F.array_sort(F.collect_list(F.concat_ws(">", F.col("src").cast("string"), F.col("dst").cast("string")))).alias("tree"),
         F.sum("w").alias("total"),
@@ -22,7 +23,8 @@ def assemble(ways: DataFrame, graph_edges: DataFrame, nodes: DataFrame) -> DataF
         F.count_if(F.col("src") == F.col("root")).alias("branches"),
     )
     prestige = nodes.select("node_id", "prestige", "node_key")
-    ends = ways.where("src = dst").select("query_id", "root", F.col("src").alias("node_id")).distinct().join(prestige, "node_id")
+    held = cut(ways.where("src = dst").select("query_id", "root", F.col("src").alias("node_id")).distinct())
+    ends = few(held).join(prestige, "node_id")
     leaves = ends.groupBy("query_id", "root").agg(F.array_sort(F.collect_list("node_id")).alias("leaves"), F.array_sort(F.collect_list("node_key")).alias("leaf_list"), F.sum("prestige").alias("leaf_weight"))
     out = leaves.join(trees, ["query_id", "root"], "left").join(prestige.select(F.col("node_id").alias("root"), F.col("prestige").alias("root_weight"), F.col("node_key").alias("root_key")), "root")
     return out.select(
