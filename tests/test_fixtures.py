@@ -288,3 +288,19 @@ def test_rounds_leave_no_old_states(spark, tmp_path):
     got = search.keyword_distances(edges, matches, 9.0)
     assert {r.node_id: r.dist for r in got.collect()} == {v: 6.0 - v for v in range(7)}
     assert len(set(home.iterdir()) - before) == 2
+
+
+def test_cluster_rounds_leave_only_the_membership(spark):
+    from pathlib import Path
+
+    from tuplegraph.operators import cluster
+    from tuplegraph.operators.graph import Graph
+    from tuplegraph.session import shared_dir
+
+    home = Path(shared_dir(spark).removeprefix("file:"))
+    links = [(a, b, 1.0) for v in range(1, 20) for a, b in ((v, v + 1), (v + 1, v))]
+    whole = Graph(spark.createDataFrame([(v, 1.0) for v in range(1, 21)], "node_id long, prestige double"), spark.createDataFrame(links, "src long, dst long, weight double"))
+    before = set(home.iterdir())
+    got = cluster.rounds(whole, 5, "ball").collect()
+    assert sorted(r.node_id for r in got) == list(range(1, 21))
+    assert len(set(home.iterdir()) - before) == 1
