@@ -304,3 +304,21 @@ def test_cluster_rounds_leave_only_the_membership(spark):
     got = cluster.rounds(whole, 5, "ball").collect()
     assert sorted(r.node_id for r in got) == list(range(1, 21))
     assert len(set(home.iterdir()) - before) == 1
+
+
+@pytest.mark.parametrize("options", [{"origin_weight": True}, {"per_root": 2}])
+def test_backward_search_above_one_task(spark, options):
+    """Start costs and several origins a root, in rounds as in one task run to its end."""
+    from tuplegraph.operators import search
+    from tuplegraph.operators.graph import Graph
+
+    rng = np.random.default_rng(8)
+    links = [(a, int(b), float(w)) for a in range(14) for b, w in zip(rng.choice(14, 3, replace=False), rng.uniform(1, 2, 3)) if a != b]
+    sets = {"p": {"x": {1, 2, 5}, "y": {7, 9}}, "q": {"x": {4}, "y": {4, 11}}}
+    edges = spark.createDataFrame(links, "src long, dst long, weight double")
+    nodes = spark.createDataFrame([(n, 1.0 + n % 4) for n in range(14)], "node_id long, prestige double")
+    matches = spark.createDataFrame([(q, t, n) for q, terms in sets.items() for t, ids in terms.items() for n in ids], "query_id string, term string, node_id long")
+    queries, g = matches.select("query_id", "term").distinct(), Graph(nodes, edges)
+    rows = lambda df: {(r.query_id, r.root, frozenset(r.tree)): (r.n_nodes, r.n_edges, round(r.node_score, 9), round(r.edge_score, 9), round(r.tree_score, 9)) for r in df.collect()}
+    every = rows(search.whole_search(g, matches, queries, "backward", k=10**4, **options))
+    assert len(every) > 9 and rows(search.whole_search(g, matches, queries, "backward", rows=0, k=10**4, **options)) == every
