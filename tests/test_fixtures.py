@@ -3,6 +3,7 @@
 import itertools
 
 import numpy as np
+import pandas as pd
 import pytest
 from conftest import SF
 from pyspark.sql import functions as F
@@ -448,3 +449,36 @@ def test_levels_go_on_from_pairs(spark, monkeypatch):
         assert plain(stored.edges) == plain(small.edges) and stored.nodes.columns == small.nodes.columns
         current = stored
     assert len(got) == 2
+
+
+def test_diameters_label_edges_once_and_take_many_clusters_a_task(spark, monkeypatch):
+    """Every cluster as all its pairs give it, small ones and ones above the dense tables, however batches cut them."""
+    from tuplegraph.operators.kernels import all_pairs
+
+    rng, inf = np.random.default_rng(4), float("inf")
+    of = {v: int(rng.integers(0, 40)) for v in range(200)} | {v: 40 for v in range(200, 210)}
+    links = [(int(a), int(b), float(w)) for a, b, w in zip(rng.integers(0, 210, 1500), rng.integers(0, 210, 1500), rng.uniform(0.1, 3, 1500), strict=True)]
+    links += [(a, b, 1.0 + a % 3) for a in range(200) for b in range(200) if a != b and of[a] == of[b] and (a * b) % 3]
+    want = {}
+    for c in set(of.values()):
+        ids = [v for v in of if of[v] == c]
+        cost = all_pairs(ids, [x for x in links if of[x[0]] == of[x[1]] == c])
+        enter, leave = {b for a, b, _ in links if of[b] == c != of[a]}, {a for a, b, _ in links if of[a] == c != of[b]}
+        want[c] = max(cost.get((a, b), inf) for a in ids for b in ids), min((cost.get((a, b), inf) for a in enter for b in leave), default=inf)
+    edges, membership = spark.createDataFrame(links, "src long, dst long, weight double"), spark.createDataFrame(list(of.items()), "node_id long, cluster_id long")
+    found = bounds.diameters(edges, membership)
+    assert {r.cluster_id: (r.diameter, r.min_transit) for r in found.collect()} == want
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "FlatMapGroupsInPandas" not in plan and plan.count("Join") == 2
+    rows = [(c, "n", v, 0, 0.0) for v, c in of.items()] + [(of[a], "e", a, b, w) for a, b, w in links if of[a] == of[b]]
+    rows += [(of[b], "i", b, 0, 0.0) for a, b, _ in links if of[a] != of[b]] + [(of[a], "o", a, 0, 0.0) for a, b, _ in links if of[a] != of[b]]
+    frame = pd.DataFrame(sorted(rows, key=lambda r: r[0]), columns=["cluster_id", "kind", "a", "b", "x"])
+    monkeypatch.setattr(bounds, "DENSE", 5)
+    monkeypatch.setattr(bounds, "ENTRIES", 60)
+    got = {}
+    for part in bounds._whole(frame.iloc[i : i + 7] for i in range(0, len(frame), 7)):
+        names, own = np.unique(part.cluster_id.to_numpy(), return_inverse=True)
+        far, cross = bounds._widest(*(part[c].to_numpy() for c in ("kind", "a", "b", "x")), own, len(names))
+        assert not set(names.tolist()) & set(got)
+        got |= dict(zip(names.tolist(), zip(far.tolist(), cross.tolist(), strict=True), strict=True))
+    assert got == want
