@@ -482,3 +482,38 @@ def test_diameters_label_edges_once_and_take_many_clusters_a_task(spark, monkeyp
         assert not set(names.tolist()) & set(got)
         got |= dict(zip(names.tolist(), zip(far.tolist(), cross.tolist(), strict=True), strict=True))
     assert got == want
+
+
+def test_correlation_by_pivots_broadcasts_no_nodes(spark, monkeypatch):
+    """The pivots' rounds node by node, and the check of clusters, with no join that sends a table of nodes through the driver."""
+    from tuplegraph.operators import components
+    from tuplegraph.operators.graph import Graph
+
+    rng = np.random.default_rng(6)
+    links = [(int(a), int(b), 1.0) for a, b in rng.integers(0, 60, (90, 2))]
+    near = {v: {b for a, b, _ in links if a == v} | {a for a, b, _ in links if b == v} for v in range(70)}
+    near = {v: n - {v} for v, n in near.items()}
+    nodes, edges = spark.createDataFrame([(v, 1.0) for v in range(70)], "node_id long, prestige double"), spark.createDataFrame(links, "src long, dst long, weight double")
+    turn = {r.node_id: (r.t, r.node_id) for r in nodes.select("node_id", F.xxhash64(F.lit(3), "node_id").alias("t")).collect()}
+    of = {}
+    while len(of) < 70:
+        free = set(near) - set(of)
+        pivots = {v for v in free if all(turn[v] < turn[u] for u in near[v] & free)}
+        of |= {v: min(near[v] & pivots, key=turn.get) for v in free - pivots if near[v] & pivots} | {v: v for v in pivots}
+    least = {p: min(v for v in of if of[v] == p) for p in of.values()}
+    seen, real = [], cluster.cut
+
+    def watched(df, *rest, **options):
+        seen.append(df._jdf.queryExecution().executedPlan().toString())
+        return real(df, *rest, **options)
+
+    monkeypatch.setattr(cluster, "cut", watched)
+    monkeypatch.setattr(components, "cut", watched)
+    got = cluster.correlation(nodes, edges, seed=3)
+    assert {r.node_id: r.cluster_id for r in got.collect()} == {v: least[p] for v, p in of.items()}
+    check = cluster.faults(Graph(nodes, edges), got, 2**31 - 1)
+    seen.append(check._jdf.queryExecution().executedPlan().toString())
+    assert tuple(check.first()) == (70, 0, 0, 0)
+    wrong = spark.createDataFrame([(v, 0 if v < 69 else 1) for v in range(70)] + [(69, 2)], "node_id long, cluster_id long")
+    assert tuple(cluster.faults(Graph(nodes, edges), wrong, 60).first()) == (70, 1, 1, 1)
+    assert len(seen) > 9 and not any("BroadcastHashJoin" in p for p in seen)
