@@ -517,3 +517,44 @@ def test_correlation_by_pivots_broadcasts_no_nodes(spark, monkeypatch):
     wrong = spark.createDataFrame([(v, 0 if v < 69 else 1) for v in range(70)] + [(69, 2)], "node_id long, cluster_id long")
     assert tuple(cluster.faults(Graph(nodes, edges), wrong, 60).first()) == (70, 1, 1, 1)
     assert len(seen) > 9 and not any("BroadcastHashJoin" in p for p in seen)
+
+
+def test_searches_in_rounds_sort_numbers_first_and_shuffle_no_stored_edges(spark, monkeypatch):
+    """Links come from the buckets of stored edges without a shuffle; states are sorted by node before query and term."""
+    import re
+
+    from tuplegraph.operators import search
+    from tuplegraph.operators.graph import Graph
+    from tuplegraph.plans.loop import cut
+
+    rng = np.random.default_rng(2)
+    links = [(int(a), int(b), float(w), 1.0) for a, b, w in zip(rng.integers(0, 40, 200), rng.integers(0, 40, 200), rng.uniform(0.5, 2, 200), strict=True)]
+    edges = spark.createDataFrame(links, "src long, dst long, weight double, priority double")
+    nodes = spark.createDataFrame([(v, 1.0 + v % 5) for v in range(40)], "node_id long, prestige double")
+    matches = spark.createDataFrame([("q", "x", 1), ("q", "x", 7), ("q", "y", 20)], "query_id string, term string, node_id long")
+    queries, seen, real = matches.select("query_id", "term").distinct(), [], search.cut
+
+    def watched(df, *rest, **options):
+        out = real(df, *rest, **options)
+        seen.append((df.columns, df._jdf.queryExecution().executedPlan().toString()))
+        return out
+
+    g, want = Graph(nodes, cut(edges, "dst")), {}
+    for term in "xy":
+        best = distances(Adjacency([x[:3] for x in links]), {r.node_id for r in matches.where(F.col("term") == term).collect()})[0]
+        want |= {(term, v): round(c, 9) for v, c in best.items()}
+    monkeypatch.setattr(search, "cut", watched)
+    limit = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        found = search.roots(search.bidirectional_rounds(g, matches, queries, k=3), queries, 3).collect()
+        stored = [p for c, p in seen if c == ["src", "dst", "w", "s"]]
+        assert len(stored) == 1 and "Exchange" not in stored[0]
+        assert not any(c == ["src", "dst", "w"] for c, _ in seen)  # small frontiers need no second copy
+        assert search.whole_search(g, matches, queries, rows=0).count() > 0
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+    sums = sorted((round(want["x", v] + want["y", v], 6), v) for v in range(40) if ("x", v) in want and ("y", v) in want)
+    assert sorted((r.cost, r.root) for r in found) == sums[:3]
+    states = [p for c, p in seen if "dist" in c and "taken" in c]
+    assert states and not any(re.search(r"Sort \[query_id#\d+ ASC NULLS FIRST, term#\d+ ASC NULLS FIRST, node_id", p) for p in states)
